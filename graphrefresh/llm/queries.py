@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphrefresh.llm import chat, lengths, mixing, quality, token_files
+from graphrefresh.llm import chat, grading, lengths, mixing, quality, token_files
 from graphrefresh.llm.common import table, work_path
 
 #: A conversation whose texts hold the template's own control strings.
@@ -20,6 +20,11 @@ def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(table(spark, sf_dir, "documents"))
 
 
+def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return grading.grade(docs, grading.train(docs, grading.graded(table(spark, sf_dir, "labels"))))
+
+
 def op4_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = work_path(spark, "token-files")
     token_files.write_tokens(table(spark, sf_dir, "documents"), path)
@@ -34,4 +39,4 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lengths.histogram(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_chat_formatting, op2_quality_rules, op4_token_files, op8_mixing, op10_token_counts)}
+QUERIES = {f.__name__: f for f in (op1_chat_formatting, op2_quality_rules, op3_quality_classifier, op4_token_files, op8_mixing, op10_token_counts)}
