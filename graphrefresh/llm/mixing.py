@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphrefresh.llm.common import text_or_empty
+from graphrefresh.llm.common import text_or_empty, written
 
 LEVELS = ("domain", "lang", "source")
 #: Integer weights by level and node, 1 for any other: languages lean to English; sources to the first few.
@@ -75,18 +75,20 @@ def select_prefixes(docs: DataFrame, share: tuple[int, int] = (3, 5), max_epochs
     tokens, rows that repeat an id and text are documents of their own, a null id is ordered as an empty one; extra
     columns are ignored; no rows give no rows.
     """
-    rows = leaves(docs)
+    rows = written(leaves(docs), "mix")
     sizes = rows.groupBy(*LEVELS).agg(F.sum("tokens").alias("available"))
     plan = budgets(sizes, share, max_epochs, weights)
     plan = plan.withColumn("whole", F.expr("CASE WHEN available = 0 THEN 0L ELSE budget DIV available END")).withColumn("rest", F.col("budget") - F.col("whole") * F.col("available"))
     rows = rows.join(plan.select(*LEVELS, "whole", "rest"), list(LEVELS))
     rows = rows.withColumn("h", F.md5(F.concat_ws("|", F.lit(seed), F.col("whole").cast("string"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))))
     rows = rows.withColumn("bucket", F.substring("h", 1, bucket_digits))
-    sums = rows.groupBy(*LEVELS, "bucket").agg(F.sum("tokens").alias("s"))
+    # one key for leaf and bucket: by the leaf's own columns Spark would deal whole leaves
+    rows = rows.withColumn("slot", F.to_json(F.struct(*LEVELS, "bucket")))
+    sums = rows.groupBy("slot").agg(F.sum("tokens").alias("s"), *[F.first(c).alias(c) for c in (*LEVELS, "bucket")])
     earlier = Window.partitionBy(*LEVELS).orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    sums = sums.select(*LEVELS, "bucket", F.coalesce(F.sum("s").over(earlier), F.lit(0)).alias("before"))
-    inside = Window.partitionBy(*LEVELS, "bucket").orderBy("h", "content").rowsBetween(Window.unboundedPreceding, 0)
-    rows = rows.join(sums, [*LEVELS, "bucket"])
+    sums = sums.select("slot", F.coalesce(F.sum("s").over(earlier), F.lit(0)).alias("before"))
+    inside = Window.partitionBy("slot").orderBy("h", "content").rowsBetween(Window.unboundedPreceding, 0)
+    rows = rows.join(sums, "slot")
     upto = F.col("before") + F.sum("tokens").over(inside)
     rows = rows.withColumn("epochs", F.col("whole") + F.when(upto <= F.col("rest"), 1).otherwise(0))
     return rows.where(F.col("epochs") > 0).select("doc_id", *LEVELS, "tokens", "content", "epochs")
