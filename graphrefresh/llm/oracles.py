@@ -88,4 +88,21 @@ WITH d AS (
 SELECT doc_id, domain, lang, source, tokens, (whole + CASE WHEN upto <= rest THEN 1 ELSE 0 END)::BIGINT AS epochs FROM s WHERE whole + CASE WHEN upto <= rest THEN 1 ELSE 0 END > 0
 """
 
-ORACLES = {"op1_chat_formatting": OP1, "op2_quality_rules": OP2, "op8_mixing": OP8}
+#: Every window of every text against every item of its size, by shingles alone; items here have five words or more.
+OP5 = r"""
+WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[\x20\x09-\x0D]+'), lambda w: w <> '') AS w FROM documents
+), it AS (SELECT item_id, list_filter(regexp_split_to_array(lower(text), '[\x20\x09-\x0D]+'), lambda w: w <> '') AS w FROM benchmark
+), ig AS (SELECT item_id, len(w) AS m, unnest(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) AS g, unnest(range(0, len(w) - 4)) AS p FROM it
+), dg AS (SELECT doc_id, unnest(list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' '))) AS g, unnest(range(0, len(w) - 4)) AS p FROM d
+), pl AS (SELECT DISTINCT doc_id, item_id, m, greatest(dg.p - ig.p, 0) AS start FROM dg JOIN ig USING (g)
+), a AS (SELECT doc_id, item_id, m, start, array_to_string(d.w[q + 1:q + 5], ' ') AS g, count(*) AS n FROM (SELECT pl.*, unnest(range(start, start + m - 4)) AS q FROM pl) x JOIN d USING (doc_id) WHERE q + 5 <= len(d.w) GROUP BY ALL
+), b AS (SELECT item_id, g, count(*) AS n FROM ig GROUP BY ALL
+), na AS (SELECT doc_id, item_id, m, start, sum(n) AS n FROM a GROUP BY ALL
+), nb AS (SELECT item_id, sum(n) AS n FROM b GROUP BY ALL
+), sh AS (SELECT doc_id, item_id, m, start, sum(least(a.n, b.n)) AS s FROM a JOIN b USING (item_id, g) GROUP BY ALL
+), sim AS (SELECT doc_id, item_id, m, start, s / (na.n + nb.n - s) AS similarity FROM sh JOIN na USING (doc_id, item_id, m, start) JOIN nb USING (item_id) WHERE 5 * s >= 4 * (na.n + nb.n - s)
+), best AS (SELECT doc_id, item_id, max({'similarity': similarity, 's': -start, 'm': m}) AS x FROM sim GROUP BY ALL)
+SELECT doc_id, item_id, x.similarity AS similarity, (-x.s)::INT AS start_word, least(x.m, len(d.w) + x.s)::INT AS window_words FROM best JOIN d USING (doc_id)
+"""
+
+ORACLES = {"op5_decontamination": OP5, "op1_chat_formatting": OP1, "op2_quality_rules": OP2, "op8_mixing": OP8}

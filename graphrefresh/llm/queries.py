@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphrefresh.llm import chat, grading, lengths, mixing, near_dup, quality, token_files
+from graphrefresh.llm import chat, decontaminate, grading, lengths, mixing, near_dup, quality, token_files
 from graphrefresh.llm.common import table, work_path
 
 #: A conversation whose texts hold the template's own control strings.
@@ -31,6 +31,10 @@ def op4_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.summary(spark, path)
 
 
+def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "class_id", "n_links")
 
@@ -43,4 +47,4 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lengths.histogram(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_chat_formatting, op2_quality_rules, op3_quality_classifier, op4_token_files, op6_jaccard_join, op8_mixing, op10_token_counts)}
+QUERIES = {f.__name__: f for f in (op1_chat_formatting, op2_quality_rules, op3_quality_classifier, op4_token_files, op5_decontamination, op6_jaccard_join, op8_mixing, op10_token_counts)}
