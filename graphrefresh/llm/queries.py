@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from graphrefresh.llm import chat, decontaminate, grading, lengths, mixing, near_dup, quality, repeats, token_files
+from graphrefresh.llm import chat, decontaminate, grading, katz, lengths, mixing, near_dup, quality, repeats, token_files
 from graphrefresh.llm.common import table, work_path
 
 #: A conversation whose texts hold the template's own control strings.
@@ -39,6 +39,10 @@ def op6_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dup.near_duplicates(table(spark, sf_dir, "documents")).select("doc_id", "class_id", "n_links")
 
 
+def op7_katz_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return katz.score(table(spark, sf_dir, "documents"))
+
+
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.select_prefixes(table(spark, sf_dir, "documents")).drop("content")
 
@@ -51,4 +55,4 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lengths.histogram(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_chat_formatting, op2_quality_rules, op3_quality_classifier, op4_token_files, op5_decontamination, op6_jaccard_join, op8_mixing, op9_suffix_dedup, op10_token_counts)}
+QUERIES = {f.__name__: f for f in (op1_chat_formatting, op2_quality_rules, op3_quality_classifier, op4_token_files, op5_decontamination, op6_jaccard_join, op7_katz_scores, op8_mixing, op9_suffix_dedup, op10_token_counts)}
