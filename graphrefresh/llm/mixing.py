@@ -92,3 +92,9 @@ def select_prefixes(docs: DataFrame, share: tuple[int, int] = (3, 5), max_epochs
     upto = F.col("before") + F.sum("tokens").over(inside)
     rows = rows.withColumn("epochs", F.col("whole") + F.when(upto <= F.col("rest"), 1).otherwise(0))
     return rows.where(F.col("epochs") > 0).select("doc_id", *LEVELS, "tokens", "content", "epochs")
+
+
+def mixed(docs: DataFrame, share: tuple[int, int] = (4, 5), weights: dict | None = None, seed: str = SEED) -> DataFrame:
+    """The rows of ``docs``, all columns, that a mix without repetition takes. Rows that repeat an id and text are taken together."""
+    taken = select_prefixes(docs, share, 1, weights, seed).select(F.col("doc_id").alias("_d"), F.col("content").alias("_c"))
+    return docs.join(taken, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.md5(text_or_empty()) == F.col("_c")), "left_semi")

@@ -173,3 +173,12 @@ def near_duplicates(docs: DataFrame, recall: float = RECALL, block_bytes: int =
     least = ids.groupBy("class_key").agg(F.min("rep").alias("class_id"))
     ids = ids.join(least, "class_key").select(F.col("content").alias("c"), F.hex("class_key").alias("class_key"), "class_id", (F.col("links") + F.col("copies") - 1).alias("n_links"))
     return signed.select("doc_id", "content").join(ids, F.col("content") == F.col("c")).select("doc_id", F.hex("content").alias("content"), "class_key", "class_id", "n_links")
+
+
+def one_of_each(docs: DataFrame, recall: float = RECALL) -> DataFrame:
+    """The rows of ``docs``, all columns, without near duplicates: of each class the row with the least doc_id, and of rows that repeat its id and text one. Classes without an id keep the row with the least text hash."""
+    keep = near_duplicates(docs, recall).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("class_key").agg(F.min(F.struct("content", "doc_id")).alias("k"))
+    keep = keep.select(F.col("k.content").alias("_c"), F.col("k.doc_id").alias("_d"))
+    keyed = docs.withColumn("_content", F.hex(F.unhex(F.md5(text_or_empty()))))
+    kept = keyed.join(keep, (F.col("_content") == F.col("_c")) & F.col("doc_id").cast("long").eqNullSafe(F.col("_d")), "left_semi")
+    return kept.dropDuplicates(["_content", "doc_id"]).drop("_content")
