@@ -22,7 +22,7 @@ from graphrefresh.llm.near_dup import mix
 SPAN, ANCHOR = 400, 200
 ROOM = SPAN - ANCHOR
 #: Bytes hashed at a time; places must fit the low 24 bits of a key.
-CHUNK = 6 << 20
+CHUNK = 2 << 20
 #: Suffixes of a sorted run, and about as many as a merge task gets.
 RUN, PART = 20_000, 40_000
 _BASE = 0x9E3779B97F4A7C15 | 1
