@@ -21,7 +21,7 @@ from graphrefresh.llm.near_dup import mix
 #: Counts up to K are discounted.
 K = 5
 #: Tokens of a block; tokens for each task of the count tables.
-BLOCK, SHARE = 3_000_000, 2_000_000
+BLOCK, SHARE = 1_500_000, 2_000_000
 #: Hash of the end token; ids of an unknown word and of the place before a text.
 END, UNKNOWN, START = 0xE4D0_0000_0000_0001, -1, -2
 
@@ -115,7 +115,7 @@ def blocks(docs: DataFrame) -> DataFrame:
             out = pa.RecordBatch.from_arrays([pa.array(row[0], pa.int64()), pa.array(row[1], pa.list_(pa.int64())), *[pa.array(r, pa.binary()) for r in row[2:]]], ["block", "doc_ids", "train", "lens", "vocab", "tokens"])
             for x in (ids, train, hashes):
                 x.clear()
-            if len(known) > 1_500_000:
+            if len(known) > 500_000:
                 known.clear()
             return out
 
