@@ -42,7 +42,7 @@ def full_neighbour(old: Graph, b: Batch, model: Model, targets: DataFrame, fanou
 
 def sample(edges: DataFrame, fanout: int, seed: str) -> DataFrame:
     """At most ``fanout`` in-edges of each vertex, uniform and without replacement: those with the least md5."""
-    order = Window.partitionBy("dst").orderBy(share(seed, "src", "dst"), "src", "rel")
+    order = Window.partitionBy("dst").orderBy(share(seed, F.col("src"), F.col("dst")), "src", "rel")
     return edges.withColumn("_n", F.row_number().over(order)).where(F.col("_n") <= fanout).drop("_n")
 
 
