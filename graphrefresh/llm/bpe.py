@@ -3,16 +3,20 @@
 from __future__ import annotations
 
 import os
+import re
+from array import array
 from collections.abc import Iterable
+from functools import cache
+from itertools import chain
 
 import numpy as np
 
-#: The pattern by which the byte-level tokenizer splits a text before its merges.
-PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-#: On Latin-1 texts without these, the two libraries' classes of characters agree.
-PLAIN = r"[\x00-\x1b\x20-\x84\x86-\xff]*"
-#: Pieces remembered by a worker; beyond, the memory starts anew.
-REMEMBER = 400_000
+#: The pattern by which the byte-level tokenizer splits a text before its merges, for the texts below.
+PIECES = r"'(?:[stmd]|re|ve|ll)| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+"
+#: Characters on which Python's classes and the tokenizer's may differ: outside Latin-1, odd separators, superscripts and fractions.
+ODD = r"[^\x00-\x1b\x20-\x84\x86-\xb1\xb4-\xb8\xba\xbb\xbf-\xff]"
+#: Pieces remembered by a worker.
+REMEMBER = 500_000
 TOKENIZER = "byte_bpe_50k.json"
 
 
@@ -24,39 +28,84 @@ def tokenizer_path(name: str = TOKENIZER) -> str:
     return public_tokenizers.path(name)
 
 
+class _Ids(dict):
+    """Ids of strings as bytes; when too many are kept, only those that came up again stay."""
+
+    def __init__(self, find):
+        super().__init__()
+        self.find, self.again = find, set()
+
+    def learn(self, strings: set[str]) -> None:
+        if len(self) > REMEMBER:
+            kept = {s: self[s] for s in self.again}
+            self.clear()
+            self.update(kept)
+            self.again.clear()
+        new = [s for s in strings if s not in self]
+        self.again.update(strings.difference(new))
+        if new:
+            self.update(zip(new, self.find(new), strict=True))
+
+
 class Encoder:
     """Encodes texts as little-endian unsigned 32-bit ids.
 
-    A byte-level tokenizer merges inside pieces only, so the ids of a text are those of its pieces. Pieces that are new
-    are encoded by the tokenizers library in one batch and remembered; a text with a special token's string or with
-    characters outside Latin-1 goes to the library whole.
+    A byte-level tokenizer merges inside pieces only, so the ids of a text are those of its pieces. Pieces are remembered;
+    new ones are encoded by the tokenizers library, many at a time with line ends between them. A text with a special
+    token's string or with an odd character goes to the library whole.
     """
 
     def __init__(self, name: str = TOKENIZER):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        import regex
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(tokenizer_path(name))
-        self.find, self.plain = regex.compile(PIECES).findall, regex.compile(PLAIN).fullmatch
+        self.pieces_of, self.odd = re.compile(PIECES).findall, re.compile(ODD).search
         self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.known: dict[str, bytes] = {}
+        self.line_end = self.tokenizer.encode("\n", add_special_tokens=False).ids
+        self.pieces = _Ids(self._new_pieces)
 
     def _whole(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _new_pieces(self, pieces: list[str]) -> list[bytes]:
+        if len(self.line_end) != 1:
+            return self._whole(pieces)
+        out: list[bytes] = [b""] * len(pieces)
+        plain = [i for i, p in enumerate(pieces) if not p.isspace()]
+        for k in range(0, len(plain), 2000):
+            part = plain[k : k + 2000]
+            (e,) = self.tokenizer.encode_batch_fast(["\n".join([pieces[i] for i in part])], add_special_tokens=False)
+            ids = np.array(e.ids, "<u4")
+            ends = [*(4 * np.flatnonzero(ids == self.line_end[0])).tolist(), 4 * len(ids)]
+            data, at = ids.tobytes(), 0
+            for i, z in zip(part, ends, strict=True):
+                out[i] = data[at:z]
+                at = z + 4
+        blank = [i for i, p in enumerate(pieces) if p.isspace()]
+        for i, ids in zip(blank, self._whole([pieces[i] for i in blank]), strict=True):
+            out[i] = ids
+        return out
+
+    def _by_pieces(self, texts: list[str]) -> list[bytes]:
+        split = list(map(self.pieces_of, texts))
+        self.pieces.learn(set(chain.from_iterable(split)))
+        get = self.pieces.__getitem__
+        return [b"".join(map(get, ps)) for ps in split]
 
     def encode(self, texts: Iterable[str | None]) -> list[bytes]:
         texts = [t or "" for t in texts]
-        split = [self.find(t) if self.plain(t) and not any(s in t for s in self.special) else None for t in texts]
-        if len(self.known) > REMEMBER:
-            self.known.clear()
-        new = list({p for ps in split if ps for p in ps}.difference(self.known))
-        for i in range(0, len(new), 20_000):
-            part = new[i : i + 20_000]
-            self.known.update(zip(part, self._whole(part), strict=True))
-        get = self.known.__getitem__
-        out = [b"" if ps is None else b"".join(map(get, ps)) for ps in split]
-        if odd := [i for i, ps in enumerate(split) if ps is None]:
-            for i, ids in zip(odd, self._whole([texts[i] for i in odd]), strict=True):
-                out[i] = ids
+        out: list[bytes] = [b""] * len(texts)
+        whole = [i for i, t in enumerate(texts) if self.odd(t) or any(s in t for s in self.special)]
+        rest = sorted(set(range(len(texts))).difference(whole)) if whole else range(len(texts))
+        for i, ids in zip(rest, self._by_pieces([texts[i] for i in rest]), strict=True):
+            out[i] = ids
+        for i, ids in zip(whole, self._whole([texts[i] for i in whole]), strict=True):
+            out[i] = ids
         return out
+
+
+@cache
+def encoder(name: str = TOKENIZER) -> Encoder:
+    """The worker's own encoder, which outlives a task."""
+    return Encoder(name)

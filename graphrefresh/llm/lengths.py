@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphrefresh.llm.bpe import TOKENIZER, Encoder
+from graphrefresh.llm.bpe import TOKENIZER, encoder
 from graphrefresh.llm.common import text_or_empty
 
 
@@ -18,10 +18,10 @@ def encoded_lengths(docs: DataFrame, tokenizer: str = TOKENIZER) -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
 
-        encoder = Encoder(tokenizer)
+        encode = encoder(tokenizer).encode
         for b in batches:
             for i in range(0, b.num_rows, 1000):
-                lengths, n = np.unique([len(x) // 4 for x in encoder.encode(b.column(0).slice(i, 1000).to_pylist())], return_counts=True)
+                lengths, n = np.unique([len(x) // 4 for x in encode(b.column(0).slice(i, 1000).to_pylist())], return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(lengths, pa.int64()), pa.array(n, pa.int64())], ["length", "n_docs"])
 
     return docs.select(text_or_empty().alias("text")).mapInArrow(run, "length long, n_docs long")

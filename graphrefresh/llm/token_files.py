@@ -9,8 +9,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from graphrefresh.llm.bpe import TOKENIZER, Encoder
-from graphrefresh.llm.common import shuffle_partitions, text_or_empty
+from graphrefresh.llm.bpe import TOKENIZER, encoder
+from graphrefresh.llm.common import shuffle_partitions, text_or_empty, written
 
 SCHEMA = "doc_id long, seq long, ids array<int>"
 #: Every file has its rows in order, so a stripe or row group whose id range or Bloom filter excludes an id is skipped.
@@ -31,11 +31,11 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str = TOKENIZER, end_id:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
 
-        encoder, seq, end = Encoder(tokenizer), 0, np.array([end_id], "<u4").tobytes()
+        encode, seq, end = encoder(tokenizer).encode, 0, np.array([end_id], "<u4").tobytes()
         for b in batches:
             for i in range(0, b.num_rows, 500):
                 part = b.slice(i, 500)
-                ids = [x + end for x in encoder.encode(part.column(1).to_pylist())]
+                ids = [x + end for x in encode(part.column(1).to_pylist())]
                 offsets = np.zeros(len(ids) + 1, "i4")
                 np.cumsum([len(x) // 4 for x in ids], out=offsets[1:])
                 lists = pa.ListArray.from_arrays(pa.array(offsets), pa.Array.from_buffers(pa.int32(), int(offsets[-1]), [None, pa.py_buffer(b"".join(ids))]))
@@ -67,7 +67,7 @@ def summary(spark: SparkSession, path: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.diff(offsets).astype("i8")), pa.array(crc, pa.int64()), b.column(3)], ["doc_id", "seq", "n_tokens", "ids_crc32", "file"])
 
     rows = read_tokens(spark, path).withColumn("file", F.regexp_extract(F.input_file_name(), r"(part-\d+)[^/]*$", 1))
-    rows = rows.mapInArrow(run, "doc_id long, seq long, n_tokens long, ids_crc32 long, file string")
+    rows = written(rows.mapInArrow(run, "doc_id long, seq long, n_tokens long, ids_crc32 long, file string"), "token-rows")
     files = rows.groupBy("file").agg(F.sum("n_tokens").alias("total"))
     before = F.coalesce(F.sum("total").over(Window.orderBy("file").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     rows = rows.join(files.select(F.col("file").alias("f"), before.alias("before")), F.col("file") == F.col("f"))
