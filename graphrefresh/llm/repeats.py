@@ -279,8 +279,7 @@ def merge_part(rows: pa.Table) -> pa.Table:
     number = 0
 
     def resolve() -> None:
-        groups = list(contexts.items())
-        keep = [(k, v) for k, v in groups]
+        keep = list(contexts.items())
         if keep:
             most, least = _equal_strings([k[1] for k, _ in keep], [k[2] for k, _ in keep], np.array([k[3] for k, _ in keep]), np.array([len(v) for _, v in keep]), np.array([k[0] for k, _ in keep]))
             for (_, owners), hi, lo in zip(keep, most.tolist(), least.tolist(), strict=True):
@@ -341,6 +340,7 @@ def repeated_bytes(docs: DataFrame) -> DataFrame:
     rows = written(rows, "texts")
     marked = written(anchor_rows(docs), "anchors")
     twice = marked.groupBy("anchor").agg(F.min(F.col("text_hash") + F.col("twice")).alias("a"), F.max(F.col("text_hash") + F.col("twice")).alias("z")).where("a <> z").select(F.col("anchor").alias("x"))
+    twice = written(twice, "twice")  # joined anew, so that Spark can split a hot anchor
     texts = rows.groupBy("content").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.first("text_hash").alias("h"))
     places = marked.join(twice, F.col("anchor") == F.col("x"), "left_semi").join(texts.select("content", "rep", "h"), (F.col("text_hash") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("rep")))
     places = written(places.groupBy("content").agg(F.first("rep").alias("rep"), F.first("h").alias("h"), F.collect_set(F.struct("at", "anchor")).alias("p")), "places")
