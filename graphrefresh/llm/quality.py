@@ -52,7 +52,8 @@ def base_counts(docs: DataFrame, *keep: str) -> DataFrame:
 
 def normalised(line: Column) -> Column:
     """Lower case, digits as 0, blanks as one space, none at the ends."""
-    return F.trim(F.regexp_replace(F.regexp_replace(F.lower(line), r"[0-9]", "0"), r"[\x20\x09-\x0D]+", " "))
+    plain = F.translate(F.lower(line), "123456789\t\n\x0b\x0c\r", "000000000     ")
+    return F.trim(F.when(F.contains(plain, F.lit("  ")), F.regexp_replace(plain, " +", " ")).otherwise(plain))
 
 
 def line_rows(docs: DataFrame, key: str) -> DataFrame:
