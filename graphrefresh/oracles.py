@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from graphrefresh.models import WIDTH, ZOO, Layer, Model, model
-from graphrefresh.queries import EDGES, FEATURES, VERTICES, graph_of
+from graphrefresh.queries import EDGES, FEATURES, GRAIN, VERTICES, graph_of
 
 H = [f"h{i}" for i in range(WIDTH)]
 
@@ -63,7 +63,7 @@ def _passes(m: Model) -> str:
     return ",\n".join(_layer(k, x, "f" if k == 1 else f"h_{k - 1}") for k, x in enumerate(m.layers, 1))
 
 
-_SHOWN = "vid, " + ", ".join(f"round({h}, 4) + 0.0 AS d{i}" for i, h in enumerate(H))
+_SHOWN = "vid, " + ", ".join(f"round({h} * {GRAIN}.0::DOUBLE) / {GRAIN}.0::DOUBLE + 0.0 AS d{i}" for i, h in enumerate(H))
 
 
 def whole(name: str, shares: dict | None = None, depth: int = 2) -> str:

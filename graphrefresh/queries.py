@@ -23,12 +23,16 @@ FEATURES = {"inserts": 0.05, "deletes": 0.01, "changes": 0.02}
 VERTICES = {"inserts": 0.05, "deletes": 0.01, "changes": 0.01, "removals": 0.01}
 
 
+GRAIN = 10_007
+
+
 def graph_of(name: str) -> str:
     return GRAPH_OF.get(name, "order_part")
 
 
 def shown(h: DataFrame) -> DataFrame:
-    return h.select("vid", *[(F.round(c, 4) + F.lit(0.0)).alias(f"d{i}") for i, c in enumerate(H)])
+    """Rounded to a multiple of 1/GRAIN, a prime, so that sums and means of binary fractions are never half-way."""
+    return h.select("vid", *[(F.round(F.col(c) * float(GRAIN), 0) / float(GRAIN) + F.lit(0.0)).alias(f"d{i}") for i, c in enumerate(H)])
 
 
 def prepared(spark: SparkSession, sf_dir: str, graph: str, shares: dict) -> tuple[Graph, Batch]:
