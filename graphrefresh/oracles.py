@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from graphrefresh import relational
 from graphrefresh.models import WIDTH, ZOO, Layer, Model, model
 from graphrefresh.queries import EDGES, FEATURES, GRAIN, VERTICES, graph_of
 
@@ -115,4 +116,4 @@ ORACLES |= {
     "cachereuse_gcn": whole("gcn", FEATURES), "cachereuse_gat": whole("gat", FEATURES), "fullnbr_sage_mean": affected("sage_mean"), "fullnbr_gat": affected("gat"), "ondemand_gcn": affected("gcn", True), "ondemand_gat": affected("gat", True),
     "sampled_sage_k5": sampled(5), "sampled_sage_k10": sampled(10), "sampled_sage_k20": sampled(20), "degree_bands": _BANDS, "chunk_loads": _CHUNKS,
 }
-
+ORACLES |= relational.ORACLES
