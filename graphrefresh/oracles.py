@@ -12,7 +12,12 @@ _BOTH = "SELECT a AS src, b AS dst, '{0}' AS rel, ts FROM ({2}) UNION ALL SELECT
 _ORDER_PART = _BOTH.format("contains", "in_order", "SELECT 4 * l_orderkey AS a, 4 * l_partkey + 1 AS b, min(l_shipdate) AS ts FROM lineitem GROUP BY 1, 2")
 _PLACED = _BOTH.format("placed", "placed_by", "SELECT 4 * o_custkey + 2 AS a, 4 * o_orderkey AS b, min(o_orderdate) AS ts FROM orders GROUP BY 1, 2")
 _K = "CAST(json_extract_string(props, '$.k') AS BIGINT)"
+_LOW = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+_WHEN = "to_timestamp(1704067200 + floor(('0x' || substr(md5(concat_ws('-', 't', {0}, {1})), 1, 8))::BIGINT / 4294967296.0::DOUBLE * 31536000)::BIGINT)"
 GRAPHS = {
+    "knn": f"SELECT vec_id AS src, query AS dst, 'contains' AS rel, {_WHEN.format('vec_id', 'query')} AS ts FROM ({relational.ORACLES['topk_nearest']})",
+    "doc_token": _BOTH.format("contains", "in_order", f"SELECT a, b, {_WHEN.format('a', 'b')} AS ts FROM (SELECT DISTINCT 2 * doc_id AS a, 2 * ('0x' || substr(md5(t), 1, 13))::BIGINT + 1 AS b FROM (SELECT doc_id, unnest(regexp_split_to_array({_LOW}, ' +')) AS t FROM documents) WHERE length(t) BETWEEN 3 AND 12)"),
+    "turns": "SELECT DISTINCT conv_id * 1024 + turn AS src, conv_id * 1024 + nxt AS dst, 'contains' AS rel, to_timestamp(turn) AS ts FROM (SELECT conv_id, turn, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS nxt FROM conversations) WHERE nxt IS NOT NULL",
     "order_part": _ORDER_PART,
     "cust_part": _BOTH.format("contains", "in_order", "SELECT 4 * o_custkey + 2 AS a, 4 * l_partkey + 1 AS b, min(o_orderdate) AS ts FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2"),
     "supp_part": _BOTH.format("contains", "in_order", "SELECT 4 * l_suppkey + 3 AS a, 4 * l_partkey + 1 AS b, min(l_shipdate) AS ts FROM lineitem GROUP BY 1, 2"),

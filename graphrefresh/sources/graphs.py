@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from graphrefresh.models import WIDTH
+from graphrefresh.operators.joins import nearest
 
 
 @dataclass(frozen=True)
@@ -90,7 +91,35 @@ def user_item(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _both_ways(pairs, "contains", "in_order")
 
 
-EDGES = {"order_part": order_part, "cust_part": cust_part, "supp_part": supp_part, "copurchase": copurchase, "typed": typed, "transitions": transitions, "user_item": user_item}
+def _synthetic(src: Column, dst: Column) -> Column:
+    """A moment for an edge that has none: a day of 2024 and its seconds, from md5."""
+    return F.timestamp_seconds(F.lit(1_704_067_200) + F.floor(share("t", src, dst) * 31_536_000))
+
+
+def knn(spark: SparkSession, sf_dir: str, k: int = 10) -> DataFrame:
+    """Directed: to each vector from its nearest by cosine."""
+    near = nearest(table(spark, sf_dir, "embeddings", "vec_id", "embedding"), k)
+    return near.select(F.col("vec_id").alias("src"), F.col("query").alias("dst"), F.lit("contains").alias("rel"), _synthetic(F.col("vec_id"), F.col("query")).alias("ts"))
+
+
+def doc_token(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents and the words of 3 to 12 characters in them, A-Z in lower case; a word's id is 52 bits of its md5."""
+    low = F.translate(F.coalesce("text", F.lit("")), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    words = table(spark, sf_dir, "documents", "doc_id", "text").select((2 * F.col("doc_id")).alias("a"), F.explode(F.array_distinct(F.split(low, " +"))).alias("t"))
+    pairs = words.where(F.length("t").between(3, 12)).select("a", (2 * F.conv(F.substring(F.md5("t"), 1, 13), 16, 10).cast("long") + 1).alias("b")).distinct()
+    return _both_ways(pairs.withColumn("ts", _synthetic(F.col("a"), F.col("b"))), "contains", "in_order")
+
+
+def turns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Directed: from each turn of a conversation to the next; an id is the conversation's times 1024, and the turn."""
+    rows = table(spark, sf_dir, "conversations", "conv_id", "turn")
+    nxt = F.lead("turn").over(Window.partitionBy("conv_id").orderBy("turn"))
+    pairs = rows.select(F.col("conv_id"), "turn", nxt.alias("next")).where("next IS NOT NULL")
+    vid = lambda c: F.col("conv_id") * 1024 + F.col(c)
+    return pairs.select(vid("turn").alias("src"), vid("next").alias("dst"), F.lit("contains").alias("rel"), F.timestamp_seconds("turn").alias("ts")).distinct()
+
+
+EDGES = {"knn": knn, "doc_token": doc_token, "turns": turns, "order_part": order_part, "cust_part": cust_part, "supp_part": supp_part, "copurchase": copurchase, "typed": typed, "transitions": transitions, "user_item": user_item}
 
 
 def with_weights(edges: DataFrame) -> DataFrame:
