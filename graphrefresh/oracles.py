@@ -76,10 +76,14 @@ def whole(name: str, shares: dict | None = None, depth: int = 2) -> str:
     return f"WITH {_graph(graph_of(name), shares)},\n{_passes(model(name, depth))}\nSELECT {_SHOWN} FROM h_{depth}"
 
 
-def _reached(m: Model, queries: str = "") -> str:
+def _moved(shares: dict) -> str:
+    return f"(SELECT src, dst, rel FROM base WHERE {_pair('d')} < {shares['deletes']} UNION ALL SELECT src, dst, rel FROM stream WHERE {_pair('i')} < {shares['inserts']})"
+
+
+def _reached(m: Model, shares: dict = FEATURES) -> str:
     """CTEs x_l: the vertices that a batch affects at layer l, by the rules for seeds, sources, readers and own terms."""
-    out = ["x_0 AS (SELECT vid FROM f WHERE " + _share("'f'", "vid") + f" < {FEATURES['changes']})"]
-    moved = f"(SELECT src, dst FROM base WHERE {_pair('d')} < {FEATURES['deletes']} UNION ALL SELECT src, dst FROM stream WHERE {_pair('i')} < {FEATURES['inserts']})"
+    out = ["x_0 AS (SELECT vid FROM f WHERE " + _share("'f'", "vid") + f" < {shares.get('changes', 0.0)})"]
+    moved = _moved(shares)
     for k, layer in enumerate(m.layers, 1):
         touched = f"SELECT vid FROM x_{k - 1}" + (f" UNION SELECT dst FROM {moved}" if layer.reads_degree else "")
         own = f" UNION SELECT vid FROM x_{k - 1}" if layer.self_term or layer.reads_target else ""
@@ -100,6 +104,20 @@ def sampled(fanout: int) -> str:
     return f"WITH {_graph('order_part', FEATURES)},\n{layers},\n{_reached(m)}\nSELECT {_SHOWN} FROM h_2 WHERE vid IN (FROM x_2)"
 
 
+def _traces(graph: str) -> str:
+    """CTE t: method, layer, src, dst, rel of the distinct edges that each method processes for a two-layer mean model."""
+    shares = {"inserts": 0.002, "deletes": 0.0002}
+    some = lambda n, k: f"(SELECT src, dst, rel FROM (SELECT *, row_number() OVER (PARTITION BY dst ORDER BY {_share(chr(39) + f's{k - 1}' + chr(39), 'src', 'dst')}, src, rel) AS n FROM e) WHERE n <= {n})"
+    row = lambda method, k, edges, where: f"SELECT '{method}' AS method, {k} AS layer, src, dst, rel FROM {edges} WHERE {where}"
+    parts = [row("whole_graph", k, "e", "true") for k in (1, 2)]
+    parts += [row("delta", k, "(SELECT src, dst, rel FROM base UNION SELECT src, dst, rel FROM e)", f"src IN (FROM x_{k - 1})") + f" UNION SELECT 'delta', {k}, src, dst, rel FROM {_moved(shares)}" for k in (1, 2)]
+    parts += [row("cache_reuse", k, "e", f"dst IN (FROM x_{k})") for k in (1, 2)]
+    for method, two, one in (("full_neighbour", "e", "e"), ("sampled_5", some(5, 2), some(5, 1)), ("sampled_10", some(10, 2), some(10, 1))):
+        parts += [row(method, 2, two, "dst IN (FROM x_2)"), row(method, 1, one, f"dst IN (SELECT src FROM {two} WHERE dst IN (FROM x_2))")]
+    every = " UNION ALL ".join(f"({p})" for p in parts)
+    return f"WITH {_graph(graph, shares)},\n{_reached(model('sage_mean'), shares)},\nt AS MATERIALIZED (SELECT DISTINCT method, layer::INTEGER AS layer, src, dst, rel FROM ({every}))"
+
+
 _BANDS = f"""WITH d AS (SELECT dst AS vid, count(*) AS deg FROM ({_ORDER_PART}) GROUP BY dst
 ), p AS (SELECT deg, rank() OVER (ORDER BY deg DESC) - 1 AS above, count(*) OVER () AS n FROM d)
 SELECT CASE WHEN above < 0.2 * n THEN 'top20' WHEN above < 0.5 * n THEN 'mid30' ELSE 'low50' END AS band, count(*) AS vertices, sum(deg)::BIGINT AS in_edges FROM p GROUP BY 1"""
@@ -121,4 +139,15 @@ ORACLES |= {
     "cachereuse_gcn": whole("gcn", FEATURES), "cachereuse_gat": whole("gat", FEATURES), "fullnbr_sage_mean": affected("sage_mean"), "fullnbr_gat": affected("gat"), "ondemand_gcn": affected("gcn", True), "ondemand_gat": affected("gat", True),
     "sampled_sage_k5": sampled(5), "sampled_sage_k10": sampled(10), "sampled_sage_k20": sampled(20), "degree_bands": _BANDS, "chunk_loads": _CHUNKS,
 }
+_T = _traces("order_part")
+_TOTAL = ", n AS (SELECT method, count(*) AS edges FROM t GROUP BY 1), b AS (SELECT edges AS own FROM n WHERE method = 'delta')"
+ORACLES |= {
+    "edge_accesses": f"{_T} SELECT method, layer, count(*) AS edges FROM t GROUP BY 1, 2",
+    "vertex_accesses": f"{_T} SELECT method, layer, count(DISTINCT vid) AS vertices FROM (SELECT method, layer, src AS vid FROM t UNION ALL SELECT method, layer, dst FROM t) GROUP BY 1, 2",
+    "normalised_volume": f"{_T}{_TOTAL} SELECT method, edges, edges / own AS ratio FROM n, b",
+    "redundant_share": f"{_T} SELECT t.method, count(*) FILTER (d.src IS NULL) / count(*) AS share FROM t LEFT JOIN (SELECT * FROM t WHERE method = 'delta') d USING (layer, src, dst, rel) GROUP BY 1",
+    "affected_share": f"{_T} SELECT layer, count(*) / (SELECT count(*) FROM e) AS edge_share, any_value(v) / (SELECT count(*) FROM f) AS vertex_share FROM t JOIN (SELECT 1 AS layer, count(*) AS v FROM x_1 UNION ALL SELECT 2, count(*) FROM x_2) USING (layer) WHERE method = 'delta' GROUP BY 1",
+    "delta_two_hop": f"WITH {_graph('transitions', EDGES)} SELECT a.src, b.dst, count(*) AS n FROM e a JOIN e b ON a.dst = b.src GROUP BY 1, 2",
+    "sweep_chunk": " UNION ALL ".join(f"SELECT {n} AS max_edges, loads, shared_loads FROM ({_CHUNKS.replace('8192', str(n))})" for n in (512, 2048, 8192, 32768)),
+}
 ORACLES |= relational.ORACLES

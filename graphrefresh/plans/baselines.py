@@ -90,3 +90,18 @@ def _needed_all(edges: DataFrame, last: DataFrame, depth: int) -> list[DataFrame
     for _ in range(depth):
         need.insert(0, cut(union(ids(out_of(edges, need[0], "dst"), "src"), need[0]).distinct()))
     return need
+
+
+def reach(old: Graph, b: Batch, model: Model) -> list[DataFrame]:
+    """By layer, the vertices that a batch can affect, from the edges alone: no embedding is computed."""
+    new = apply(old, b)
+    moved = union(b.inserted.select(*KEY), b.deleted.select(*KEY))
+    ends = cut(ids(moved, "dst").distinct())
+    both = union(old.edges.select(*KEY), new.edges.select(*KEY)).dropDuplicates(KEY)
+    front, fronts = cut(ids(b.changed).distinct()), []
+    for layer in model.layers:
+        touched = union(front, ends).distinct() if layer.reads_degree else front
+        own = [front] if layer.self_term or layer.reads_target else []
+        front = cut(union(ids(out_of(both, touched), "dst"), ends, *own).distinct().join(ids(new.vertices), "vid", "left_semi"))
+        fronts.append(front)
+    return fronts

@@ -119,3 +119,12 @@ def bounded_throughput(seconds: Callable[[int], list[float]], sizes: list[int],
         ok = [n for n, ts in runs.items() if max(ts) <= bound]
         out.append((bound, max(ok, default=0), max(ok) / max(runs[max(ok)]) if ok else 0.0))
     return out
+
+
+def throughput(updates: int, seconds: float) -> float:
+    """Updated edges a second."""
+    return updates / seconds if seconds > 0 else 0.0
+
+
+def speedup(base_seconds: float, seconds: float) -> float:
+    return base_seconds / seconds if seconds > 0 else float("inf")

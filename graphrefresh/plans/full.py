@@ -74,3 +74,12 @@ def _unordered(rows: DataFrame, layer: Layer) -> DataFrame:
         named = named.join(context, (F.col("dst") == F.col("d")) & (F.col("rk") == F.col("r")))
     each = named.select(F.col("dst").alias("vid"), *[F.expr(x).alias(f"a{i}") for i, x in enumerate(layer.finish)])
     return each.groupBy("vid").agg(*[F.sum(f"a{i}").alias(f"a{i}") for i in range(WIDTH)])
+
+
+def rebuilt(vertices: DataFrame, states: list[LayerState], model: Model) -> list[LayerState]:
+    """States whose embeddings are made anew from the stored sums, for a layout that keeps sums alone: no edge is read."""
+    h, out = vertices, []
+    for layer, kept in zip(model.layers, states, strict=True):
+        h = output(h, finish(kept.state, layer), layer)
+        out.append(LayerState(kept.state, h))
+    return out

@@ -8,7 +8,7 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphrefresh import relational
+from graphrefresh import relational, workloads
 from graphrefresh.models import ZOO, model
 from graphrefresh.plans import baselines, chunk, cost
 from graphrefresh.plans.cut import cut
@@ -175,4 +175,4 @@ QUERIES |= {
     "affected_share": partial(measured, measure="affected"), "volume_by_degree_band": partial(measured, measure="bands", graph="cust_part"), "mse_delta_vs_full": partial(measured, measure="mse"),
     "state_bytes_by_layout": state_bytes, "accuracy_by_approach": accuracies, "chunk_loads": chunk_loads, "degree_bands": degree_bands,
 }
-QUERIES |= relational.QUERIES
+QUERIES |= relational.QUERIES | workloads.QUERIES
