@@ -136,4 +136,4 @@ def equivalence(spark: SparkSession, model: Model, seeds: list[int], tolerance:
 
 def without_strip(layer: Layer) -> Layer:
     """The layer as one whose context can't be undone, for negative tests."""
-    return replace(layer, strip=[f"0e0 * {x}" for x in H] if layer.strip else None)
+    return replace(layer, strip=[f"0e0 * a{i}" for i in range(WIDTH)] if layer.strip else None)
