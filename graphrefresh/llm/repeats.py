@@ -78,13 +78,14 @@ def anchors(pieces: list[bytes]) -> tuple[np.ndarray, ...]:
     return piece, place - origin, place - start[first], place - start[last], h[place]
 
 
-def _pieces(texts: list[bytes]) -> Iterator[list[tuple[int, int, bytes]]]:
-    """Groups of (text, offset, bytes) of CHUNK bytes or less; longer texts overlap so that each string is in one piece."""
+def _pieces(texts: list[bytes], chunk: int | None = None) -> Iterator[list[tuple[int, int, bytes]]]:
+    """Groups of (text, offset, bytes) of ``chunk`` (CHUNK) bytes or less; longer texts overlap so that each string is in one piece."""
+    chunk = chunk or CHUNK
     group, size = [], 0
     for i, t in enumerate(texts):
-        for off in range(0, max(1, len(t) - SPAN + 1), CHUNK - SPAN):
-            part = t[off : off + CHUNK - 1]
-            if group and size + len(part) > CHUNK:
+        for off in range(0, max(1, len(t) - SPAN + 1), chunk - SPAN):
+            part = t[off : off + chunk - 1]
+            if group and size + len(part) > chunk:
                 yield group
                 group, size = [], 0
             group.append((i, off, part))
@@ -94,28 +95,26 @@ def _pieces(texts: list[bytes]) -> Iterator[list[tuple[int, int, bytes]]]:
 
 
 def anchor_rows(docs: DataFrame) -> DataFrame:
-    """``doc_id, text_hash, anchor, twice, at``: the anchors of every row; ``at`` packs place, before and after; ``twice`` marks all but the first of one hash in a text."""
+    """``doc_id, text_hash, anchor, at``: the anchors of every row; ``at`` packs place, before and after. An anchor in the overlap of two pieces has a row for each, with one place."""
+    chunk = CHUNK
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for lo in range(0, b.num_rows, 2000):
                 part = b.slice(lo, 2000)
                 texts = [t.encode("utf-8", "surrogatepass") for t in part.column(2).to_pylist()]
-                for group in _pieces(texts):
+                for group in _pieces(texts, chunk):
                     piece, place, before, after, h = anchors([p for _, _, p in group])
                     if not len(piece):
                         continue
                     text = np.array([i for i, _, _ in group])[piece]
                     place = place + np.array([o for _, o, _ in group])[piece]
-                    order = np.lexsort((place, h, text))
-                    same = np.zeros(len(h), bool)
-                    same[order[1:]] = (h[order][1:] == h[order][:-1]) & (text[order][1:] == text[order][:-1])
                     at = (place << 16) | (before << 8) | after
                     rows = pa.array(text)
-                    yield pa.RecordBatch.from_arrays([part.column(0).take(rows), part.column(1).take(rows), pa.array(h.view(np.int64)), pa.array(same.astype(np.int64)), pa.array(at)], ["doc_id", "text_hash", "anchor", "twice", "at"])
+                    yield pa.RecordBatch.from_arrays([part.column(0).take(rows), part.column(1).take(rows), pa.array(h.view(np.int64)), pa.array(at)], ["doc_id", "text_hash", "anchor", "at"])
 
     text = text_or_empty()
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("text_hash"), text.alias("text")).mapInArrow(run, "doc_id long, text_hash long, anchor long, twice long, at long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("text_hash"), text.alias("text")).mapInArrow(run, "doc_id long, text_hash long, anchor long, at long")
 
 
 def common(a: bytes, b: bytes, at: int) -> int:
@@ -339,7 +338,9 @@ def repeated_bytes(docs: DataFrame) -> DataFrame:
     rows = docs.select("doc_id", F.unhex(F.md5("text")).alias("content"), F.xxhash64("text").alias("text_hash"), F.octet_length("text").cast("long").alias("n_bytes"), F.sha2("text", 256).alias("sha"))
     rows = written(rows, "texts")
     marked = written(anchor_rows(docs), "anchors")
-    twice = marked.groupBy("anchor").agg(F.min(F.col("text_hash") + F.col("twice")).alias("a"), F.max(F.col("text_hash") + F.col("twice")).alias("z")).where("a <> z").select(F.col("anchor").alias("x"))
+    # copies of one text have its anchors at the same places; any other text or place is a second occurrence
+    place = F.shiftright("at", 16)
+    twice = marked.groupBy("anchor").agg(F.min("text_hash").alias("a"), F.max("text_hash").alias("z"), F.min(place).alias("p"), F.max(place).alias("q")).where("a <> z OR p <> q").select(F.col("anchor").alias("x"))
     twice = written(twice, "twice")  # joined anew, so that Spark can split a hot anchor
     texts = rows.groupBy("content").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.first("text_hash").alias("h"))
     places = marked.join(twice, F.col("anchor") == F.col("x"), "left_semi").join(texts.select("content", "rep", "h"), (F.col("text_hash") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("rep")))

@@ -295,6 +295,27 @@ def test_long_texts_are_cut_with_overlap(monkeypatch):
     assert found == set(range(len(data) - 399))
 
 
+def test_repeats_across_pieces_of_one_text(spark, monkeypatch):
+    monkeypatch.setattr(repeats, "CHUNK", 1000)
+    rng = random.Random(9)
+    noise = lambda n: "".join(rng.choice("abcdefghij klm") for _ in range(n))
+    a, b, c = noise(450), noise(700), noise(1500)
+    ts = [noise(700) + a + noise(2500) + a + noise(900), b + noise(3000) + b[:399], c + noise(1200) + c, noise(4000), "z" * 3000]
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(ts)], "doc_id long, text string").repartition(5)
+    got = {r["doc_id"]: tuple(r)[1:5] for r in repeats.repeated_bytes(df).collect()}
+    assert [got[i] for i in range(len(ts))] == brute_repeats(ts)
+    assert [g > 0 for g in (got[i][1] for i in range(len(ts)))] == [True, False, True, False, True]
+
+
+def test_repeats_in_a_text_of_megabytes(spark):
+    rng = np.random.default_rng(9)
+    noise = lambda n: rng.integers(97, 123, n, np.uint8).tobytes().decode()
+    a, near, far = noise(400), 10_000, repeats.CHUNK + 500_000
+    text = noise(near) + "." + a + "," + noise(far - near - 402) + ";" + a + ":" + noise(1000)
+    got = repeats.repeated_bytes(spark.createDataFrame([(1, text)], "doc_id long, text string")).first()
+    assert [tuple(s) for s in got["spans"]] == [(near + 1, near + 401), (far + 1, far + 401)]
+
+
 def test_loser_tree_merges_and_shares():
     rng = random.Random(6)
     runs = [sorted("".join(rng.choice("ab") for _ in range(rng.randint(0, 9))).encode() for _ in range(rng.randint(0, 30))) for _ in range(5)]
