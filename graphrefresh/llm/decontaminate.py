@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphrefresh.llm.common import let, text_or_empty, words_of, written
@@ -64,21 +64,42 @@ def items_of(benchmark: DataFrame) -> DataFrame:
     return items.withColumns({"m": F.size("words"), "k": F.least(F.size("words"), F.lit(N_WORDS)), "fingerprint": simhash(F.col("words"))})
 
 
+def _shingles(words: Column, m: Column) -> Column:
+    """Shingles, as strings, of an item of m words or of a window of its size; one shingle where m is less than N_WORDS."""
+    return F.when(m >= N_WORDS, _grams(words, N_WORDS, _joined)).otherwise(F.array(F.array_join(words, " ")))
+
+
+def rare_shingles(items: DataFrame) -> DataFrame:
+    """``rare, size, item_id``: the shingles, rarest in the benchmark first, of which a window at NUM / DEN has one at least.
+
+    They make up more than 1 - NUM / DEN of the item's bag, so that without them too few are left to share.
+    """
+    grams = items.select("item_id", "m", F.md5(F.array_join("words", " ")).alias("key"), F.explode(_shingles(F.col("words"), F.col("m"))).alias("rare"))
+    grams = grams.groupBy("item_id", "key", "m", "rare").agg(F.count(F.lit(1)).alias("n"))
+    often = grams.groupBy("m", "rare").agg(F.count(F.lit(1)).alias("often"))
+    item = Window.partitionBy("item_id", "key")
+    before = F.coalesce(F.sum("n").over(item.orderBy("often", "rare").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    grams = grams.join(often, ["m", "rare"]).withColumns({"before": before, "all": F.sum("n").over(item)})
+    return grams.where(DEN * F.col("before") <= (DEN - NUM) * F.col("all")).select("rare", F.col("m").alias("size"), "item_id").distinct()
+
+
 def contaminated(docs: DataFrame, benchmark: DataFrame, radius: int = RADIUS) -> DataFrame:
     """``content, item_id, similarity, start_word, window_words``: the best window of each text and item that it leaks.
 
     A window leaks an item of its own size when their bags of 5-word shingles, in lower case, have a weighted Jaccard
     similarity of 0.8 or more (an item of fewer words is one shingle). Windows are laid wherever a text has a shingle of
-    an item, so that it falls in the item's place: elsewhere the similarity is 0. Every window's fingerprint is looked
-    up block by block among those of the items of its size, which finds all within ``radius`` bits, and the survivors
-    are compared by their shingles. Of the text only ids and places of hits are kept until windows are cut.
+    an item, so that it falls in each of the item's places for it: elsewhere the similarity is 0. A window is compared
+    by its shingles with the items of its size whose fingerprint is within ``radius`` bits, found block by block, and
+    with those of which it has a rare shingle. Words changed at an item's ends may flip more bits, so the fingerprints
+    alone would miss leaks; the rare shingles miss none. Of the text only ids and places of hits are kept until windows
+    are cut.
     """
     items = written(items_of(benchmark), "items")
     hits = None
     rows = docs.select("doc_id", F.unhex(F.md5(text_or_empty())).alias("content"), _lower_words(F.col("text")).alias("words"))
     for k in sorted(r[0] for r in items.select("k").distinct().collect()):  # at most five lengths
-        own = items.where(F.col("k") == k).select("m", F.posexplode(_grams(F.col("words"), k, F.xxhash64)).alias("item_pos", "gram"), "item_id")
-        own = written(own.groupBy("item_id", "m", "gram").agg(F.min("item_pos").alias("item_pos")).select("gram", "m", "item_pos").distinct(), "grams")
+        own = items.where(F.col("k") == k).select("m", F.posexplode(_grams(F.col("words"), k, F.xxhash64)).alias("item_pos", "gram"))
+        own = written(own.select("gram", "m", "item_pos").distinct(), "grams")
         seen = rows.select("doc_id", "content", F.posexplode(_grams(F.col("words"), k, F.xxhash64)).alias("pos", "g"))
         found = seen.join(small(own), F.col("g") == F.col("gram")).select("doc_id", "content", F.struct(F.greatest(F.col("pos") - F.col("item_pos"), F.lit(0)).alias("start"), "m").alias("at"))
         hits = found if hits is None else hits.unionByName(found)
@@ -92,10 +113,12 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, radius: int = RADIUS) ->
     index = items.select("item_id", F.col("m").alias("size"), "fingerprint", F.explode(blocks_of(F.col("fingerprint"), radius)).alias("block"))
     index = written(index, "blocks")
     near = windows.select("content", "start", "m", "fp", F.explode(blocks_of(F.col("fp"), radius)).alias("b")).join(small(index), (F.col("b") == F.col("block")) & (F.col("m") == F.col("size")))
-    near = near.where(F.bit_count(F.col("fp").bitwiseXOR(F.col("fingerprint"))) <= radius).select("content", "start", "m", "item_id").distinct()
-    pairs = near.join(windows.drop("fp"), ["content", "start", "m"]).join(small(items.select("item_id", "words", "k")), "item_id")
-    gram = lambda c: F.when(F.col("k") == N_WORDS, _grams(F.col(c), N_WORDS, _joined)).otherwise(F.array(F.array_join(c, " ")))
-    pairs = pairs.withColumns({"a": gram("window"), "b": gram("words")}).withColumn("shared", shared_grams(F.col("a"), F.col("b"))).withColumn("all", F.size("a") + F.size("b") - F.col("shared"))
+    near = near.where(F.bit_count(F.col("fp").bitwiseXOR(F.col("fingerprint"))) <= radius).select("content", "start", "m", "item_id")
+    rare = written(rare_shingles(items), "rare")
+    own = windows.select("content", "start", "m", F.explode(F.array_distinct(_shingles(F.col("window"), F.col("m")))).alias("shingle"))
+    near = near.unionByName(own.join(small(rare), (F.col("shingle") == F.col("rare")) & (F.col("m") == F.col("size"))).select("content", "start", "m", "item_id")).distinct()
+    pairs = near.join(windows.drop("fp"), ["content", "start", "m"]).join(small(items.select("item_id", "words", F.col("m").alias("size"))), "item_id").where("m = size")
+    pairs = pairs.withColumns({"a": _shingles(F.col("window"), F.col("m")), "b": _shingles(F.col("words"), F.col("m"))}).withColumn("shared", shared_grams(F.col("a"), F.col("b"))).withColumn("all", F.size("a") + F.size("b") - F.col("shared"))
     best = F.max(F.struct((F.col("shared") / F.col("all")).alias("similarity"), (-F.col("start")).alias("s"), F.size("window").alias("n"))).alias("x")
     return pairs.where(DEN * F.col("shared") >= NUM * F.col("all")).groupBy("content", "item_id").agg(best).select("content", "item_id", "x.similarity", (-F.col("x.s")).alias("start_word"), F.col("x.n").alias("window_words"))
 

@@ -156,6 +156,36 @@ def test_leaks(spark, docs, empty):
     assert decontaminate.leaks(empty, bench).count() == 0 and decontaminate.leaks(docs, bench.limit(0)).count() == 0
 
 
+@pytest.fixture(scope="module")
+def cut_items():
+    """Items quoted without a tenth to a fifth of their words at either end or at both, also at the ends of a text; one item repeats itself."""
+    rng = random.Random(11)
+    some = lambda n: [word(rng) + word(rng) for _ in range(n)]
+    items = [some(rng.randint(15, 59)) for _ in range(40)] + [["same"] * 30, some(4) * 8]
+    docs = []
+    for w in items:
+        for tenths in (1, 2):
+            for lost in {len(w) * tenths // 10, len(w) * tenths // 20, 2}:
+                docs += [["in", "front"] + some(lost) + w[lost:] + some(9), some(9) + w[: len(w) - lost] + some(lost) + ["and", "so"], some(5) + some(lost // 2) + w[lost // 2 : len(w) - lost // 2] + some(lost), w[lost:], some(6) + w[: len(w) - lost]]
+    return [(i, " ".join(w)) for i, w in enumerate(docs)], [(i, " ".join(w)) for i, w in enumerate(items)]
+
+
+def test_leaks_of_cut_items(spark, cut_items):
+    import duckdb
+
+    con = duckdb.connect()
+    frames = []
+    for name, key, data in zip(("documents", "benchmark"), ("doc_id", "item_id"), cut_items, strict=True):
+        con.execute(f"CREATE TABLE {name} ({key} BIGINT, text VARCHAR)")
+        con.executemany(f"INSERT INTO {name} VALUES (?, ?)", data)
+        frames.append(spark.createDataFrame(data, f"{key} long, text string").repartition(4))
+    columns, want = sql_rows(con, ORACLES["op5_decontamination"])
+    got = decontaminate.leaks(*frames)
+    assert sorted(got.columns) == columns and rows_of(got) == want and len(want) > 100
+    leaking = {r["doc_id"] for r in got.collect()}
+    assert {r["doc_id"] for r in decontaminate.clean(*frames).collect()} == {i for i, _ in cut_items[0]} - leaking
+
+
 def shingle_set(t):
     w = WORD.findall(t or "")
     return frozenset(tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))) if w else frozenset()
