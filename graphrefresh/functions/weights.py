@@ -6,6 +6,45 @@ are SQL text: Spark compiles them, and tests hand the same formulas to another e
 
 from __future__ import annotations
 
+from collections.abc import Iterable, Iterator
+from dataclasses import dataclass
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+
+@dataclass(frozen=True)
+class Map:
+    """A matrix product per vertex: column ``name``i is row i of ``weights`` times the expressions ``inputs``."""
+
+    name: str
+    inputs: tuple[str, ...]
+    weights: tuple[tuple[float, ...], ...]
+
+    @property
+    def outputs(self) -> list[str]:
+        return [f"{self.name}{i}" for i in range(len(self.weights))]
+
+
+def mapped(rows: DataFrame, maps: Iterable[Map]) -> DataFrame:
+    """``rows`` with the columns of all maps. A batch of vertices is one matrix product; only wide layers come here."""
+    for m in maps:
+        weights = np.asarray(m.weights, "f8").T
+
+        def multiply(batches: Iterable[pa.RecordBatch], weights=weights) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                x = np.asarray(b.column(b.num_columns - 1).flatten(), "f8").reshape(b.num_rows, len(weights))
+                y = pa.FixedSizeListArray.from_arrays(pa.array((x @ weights).ravel()), weights.shape[1]).cast(pa.list_(pa.float64()))
+                yield pa.RecordBatch.from_arrays([*b.columns[:-1], y], [*b.schema.names[:-1], "_y"])
+
+        own = rows.columns
+        given = rows.select(*own, F.array(*[F.expr(x) for x in m.inputs]).alias("_x"))
+        out = given.mapInArrow(multiply, ", ".join([f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema] + ["_y array<double>"]))
+        rows = out.select(*own, *[F.col("_y")[i].alias(c) for i, c in enumerate(m.outputs)])
+    return rows
+
 
 def number(x: float) -> str:
     """A double literal in any SQL dialect."""

@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
-from graphrefresh.functions.weights import dot, elu, guarded, leaky_relu, linear, matvec, names, norm, number, relu, sigmoid, weight
+from graphrefresh.functions.weights import Map, dot, elu, guarded, leaky_relu, linear, matvec, names, norm, number, relu, sigmoid, weight
 
+#: Width of the zoo's layers; `dense` makes layers of any width from loaded weights.
 WIDTH = 4
 #: Relations of the typed graph.
 RELATIONS = ("contains", "in_order", "placed", "placed_by")
@@ -14,12 +15,13 @@ RELATIONS = ("contains", "in_order", "placed", "placed_by")
 
 @dataclass(frozen=True)
 class Layer:
-    """One layer over h0..h3 of the layer below.
+    """One layer over h0.. of the layer below; widths are the lengths of its lists.
 
     ``source`` and ``target`` are hoisted per vertex (named q0.. and p0..; ``source`` may read the in-degree ``deg``);
     ``message`` is evaluated per edge over q, p, w and rel and summed (or, for ``combine_by`` min and max, folded) per
-    destination to s0.., the state; ``finish`` turns the state into a0.., where the context is applied, ``strip`` turns a
-    and the context (the state's last column) back; ``update`` reads h and a.
+    destination to s0.., the state: first as many sums as ``finish`` has parts, then contexts; ``finish`` turns the state
+    into a0.., where the context is applied, ``strip`` turns a and the contexts back; ``update`` reads h and a. Before
+    source, target and update their matrix products (``*_maps``), which name further columns, are taken per vertex.
     """
 
     source: list[str]
@@ -32,6 +34,9 @@ class Layer:
     self_term: bool = False
     per_relation: bool = False
     combine_by: str = "sum"
+    source_maps: tuple[Map, ...] = ()
+    target_maps: tuple[Map, ...] = ()
+    update_maps: tuple[Map, ...] = ()
 
     @property
     def reads_target(self) -> bool:
@@ -41,6 +46,14 @@ class Layer:
     def state_width(self) -> int:
         return len(self.message)
 
+    @property
+    def sums(self) -> int:
+        return len(self.finish)
+
+    @property
+    def contexts(self) -> int:
+        return len(self.message) - len(self.finish)
+
 
 @dataclass(frozen=True)
 class Model:
@@ -54,7 +67,7 @@ class Model:
     @property
     def constant_messages(self) -> bool:
         """Whether a message depends on nothing but its source, so that systems for such models could refresh it."""
-        return not any(x.reads_target or x.reads_degree or len(x.message) > WIDTH for x in self.layers)
+        return not any(x.reads_target or x.reads_degree or x.contexts for x in self.layers)
 
 
 H, A, Q, P, S = (names(c, WIDTH) for c in "haqps")

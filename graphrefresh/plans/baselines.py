@@ -7,57 +7,63 @@ from pyspark.sql import functions as F
 
 from graphrefresh.models import Model
 from graphrefresh.plans.cut import cut
-from graphrefresh.plans.delta import KEY, Refresh, ids, out_of, refresh, replaced, union
-from graphrefresh.plans.full import LayerState, degrees, finish, fold, forward, messages, output
-from graphrefresh.sources.graphs import Batch, Graph, apply, share
+from graphrefresh.plans.delta import KEY, Refresh, at, ids, outside, refresh, replaced, union
+from graphrefresh.plans.full import LayerState, degrees, finish, forward, output, summed
+from graphrefresh.sources.graphs import Batch, Graph, apply, expanded, out_of, share
 
 
 def whole_graph(old: Graph, b: Batch, model: Model) -> Refresh:
-    new = apply(old, b)
+    new = apply(old, expanded(old, b))
     states = forward(new, model)
     edges = new.edges.select(*KEY)
-    return Refresh(new, states, [ids(s.out) for s in states], [edges for _ in states])
+    return Refresh(lambda: new, lambda: states, [ids(s.out) for s in states], lambda: [edges for _ in states])
 
 
 def full_neighbour(old: Graph, b: Batch, model: Model, targets: DataFrame, fanout: int | None = None, seed: str = "s") -> Refresh:
     """Embeddings of ``targets`` over complete (or, with ``fanout``, sampled) neighbourhoods, from the features up, without any stored result."""
-    new = apply(old, b)
-    degree = degrees(new.edges)
-    layers = [new.edges if fanout is None else sample(new.edges, fanout, f"{seed}{k}") for k in range(len(model.layers))]
-    need = [targets]
-    for layer, edges in zip(reversed(model.layers), reversed(layers), strict=True):
-        below = ids(out_of(edges, need[0], "dst"), "src")
+    new = apply(old, expanded(old, b))
+    need, layers = [targets], []
+    for k in range(len(model.layers) - 1, -1, -1):
+        edges = out_of(new.edges, need[0], "dst")
+        layers.insert(0, edges if fanout is None else cut(sample(edges, fanout, f"{seed}{k}")))
+        below, layer = ids(layers[0], "src"), model.layers[k]
         need.insert(0, cut((union(below, need[0]) if layer.self_term or layer.reads_target else below).distinct()))
-    h, states, traces = new.vertices, [], []
-    for k, layer in enumerate(model.layers):
-        edges = out_of(layers[k], need[k + 1], "dst")
-        state = fold(messages(edges, h, layer, degree), layer)
+    h, states = new.vertices, []
+    degree = cut(degrees(out_of(new.edges, union(*need), "dst"))) if any(x.reads_degree for x in model.layers) else None
+    for layer, edges, wanted in zip(model.layers, layers, need[1:], strict=True):
+        state = summed(edges, h, layer, degree)
         # an update that doesn't read the vertex itself needs no embedding of it
-        base = h if layer.self_term else new.vertices
-        h = cut(output(base.join(need[k + 1], "vid", "left_semi"), finish(state, layer), layer))
+        h = cut(output(at(h, wanted) if layer.self_term else ids(at(new.vertices, wanted)), finish(state, layer), layer))
         states.append(LayerState(state, h))
-        traces.append(edges.select(*KEY))
-    return Refresh(new, states, need[1:], traces)
+    return Refresh(lambda: new, lambda: states, need[1:], lambda: [e.select(*KEY) for e in layers])
 
 
-def sample(edges: DataFrame, fanout: int, seed: str) -> DataFrame:
-    """At most ``fanout`` in-edges of each vertex, uniform and without replacement: those with the least md5."""
-    order = Window.partitionBy("dst").orderBy(share(seed, F.col("src"), F.col("dst")), "src", "rel")
-    return edges.withColumn("_n", F.row_number().over(order)).where(F.col("_n") <= fanout).drop("_n")
+def sample(edges: DataFrame, fanout: int, seed: str, salts: int = 16) -> DataFrame:
+    """At most ``fanout`` in-edges of each vertex, uniform and without replacement: those with the least md5.
+
+    The least of each of ``salts`` shares of a vertex's in-edges are found first, so a hub's are never sorted in one task.
+    """
+    order = [share(seed, F.col("src"), F.col("dst")), "src", "rel"]
+    some = edges.withColumn("_s", F.pmod(F.xxhash64("src", "rel"), F.lit(salts)))
+    for by in (["dst", "_s"], ["dst"]):
+        some = some.withColumn("_n", F.row_number().over(Window.partitionBy(*by).orderBy(*order))).where(F.col("_n") <= fanout).drop("_n")
+    return some.drop("_s")
 
 
 def cache_reuse(old: Graph, states: list[LayerState], b: Batch, model: Model, fronts: list[DataFrame]) -> Refresh:
     """Each affected vertex over all its in-edges; embeddings of unaffected sources come from the stored layer."""
+    b = expanded(old, b)
     new = apply(old, b)
-    degree, h, out, traces = degrees(new.edges), new.vertices, [], []
+    degree = degrees(new.edges) if any(x.reads_degree for x in model.layers) else None
+    h, out, traces = new.vertices, [], []
     for layer, kept, front in zip(model.layers, states, fronts, strict=True):
         edges = out_of(new.edges, front, "dst")
-        state = fold(messages(edges, h, layer, degree), layer)
-        part = output(h.join(front, "vid", "left_semi"), finish(state, layer), layer)
-        h = cut(replaced(kept.out, part, b.removed))
+        state = summed(edges, h, layer, degree)
+        part = cut(output(at(h, front) if layer.self_term else front, finish(state, layer), layer))
+        h = replaced(kept.out, part, b.removed)
         out.append(LayerState(state, h))
         traces.append(edges.select(*KEY))
-    return Refresh(new, out, fronts, traces)
+    return Refresh(lambda: new, lambda: out, fronts, lambda: traces)
 
 
 def periodic(states: list[LayerState]) -> DataFrame:
@@ -76,32 +82,29 @@ def const_message_delta(old: Graph, states: list[LayerState], b: Batch, model: M
 def on_demand(old: Graph, states: list[LayerState], b: Batch, model: Model, queries: DataFrame) -> tuple[DataFrame, Refresh]:
     """Embeddings of the queried vertices after a batch: at each layer only affected vertices that a query depends on are refreshed.
 
-    The result is an overlay; the other vertices' states stay as they were and must not be committed.
+    What a query depends on is followed down through affected vertices alone; all others are read as they are stored. The
+    result is an overlay; the other vertices' states stay as they were and must not be committed.
     """
-    new = apply(old, b)
-    both = union(old.edges.select(*KEY), new.edges.select(*KEY)).dropDuplicates(KEY)
-    need = _needed_all(both, queries, len(model.layers))
-    done = refresh(old, states, b, model, need=need[1:])
+    b = expanded(old, b)
+    fronts = reach(old, b, model)
+    need = [cut(at(fronts[-1], queries))]
+    for front in reversed([ids(b.changed), *fronts[:-1]]):
+        edges = union(out_of(old.edges, need[0], "dst").select(*KEY), out_of(b.inserted, need[0], "dst").select(*KEY))
+        need.insert(0, cut(at(front, union(ids(edges, "src"), need[0])).distinct()))
+    done = refresh(old, states, b, model, need=need)
     return done.embeddings.join(queries, "vid", "left_semi"), done
 
 
-def _needed_all(edges: DataFrame, last: DataFrame, depth: int) -> list[DataFrame]:
-    need = [cut(last.distinct())]
-    for _ in range(depth):
-        need.insert(0, cut(union(ids(out_of(edges, need[0], "dst"), "src"), need[0]).distinct()))
-    return need
-
-
 def reach(old: Graph, b: Batch, model: Model) -> list[DataFrame]:
-    """By layer, the vertices that a batch can affect, from the edges alone: no embedding is computed."""
-    new = apply(old, b)
+    """By layer, the vertices that an expanded batch can affect, from the edges alone: no embedding is computed."""
     moved = union(b.inserted.select(*KEY), b.deleted.select(*KEY))
     ends = cut(ids(moved, "dst").distinct())
-    both = union(old.edges.select(*KEY), new.edges.select(*KEY)).dropDuplicates(KEY)
+    fresh = cut(outside(ids(b.changed), old.vertices, "vid"))
     front, fronts = cut(ids(b.changed).distinct()), []
     for layer in model.layers:
-        touched = union(front, ends).distinct() if layer.reads_degree else front
+        touched = union(front, ends) if layer.reads_degree else front
+        out = union(out_of(old.edges, touched).select(*KEY), out_of(b.inserted, touched).select(*KEY))
         own = [front] if layer.self_term or layer.reads_target else []
-        front = cut(union(ids(out_of(both, touched), "dst"), ends, *own).distinct().join(ids(new.vertices), "vid", "left_semi"))
+        front = cut(outside(union(ids(out, "dst"), ends, fresh, *own), b.removed, "vid").distinct())
         fronts.append(front)
     return fronts

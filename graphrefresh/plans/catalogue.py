@@ -5,7 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 from graphrefresh.functions.weights import guarded
-from graphrefresh.models import WIDTH, ZOO, Layer, Model, model
+from graphrefresh.models import ZOO, Layer, Model, model
 
 
 @dataclass(frozen=True)
@@ -26,19 +26,18 @@ AGGREGATORS = {
     "softmax": Aggregator("exp({w})", "exp({w})", "{s} / {z}", "{a} * {z}"),
     "root_mean": Aggregator("1e0", "{w}", "{s} / sqrt({z})", "{a} * sqrt({z})"),
 }
-SOURCES, SUMS, SHOWN = ([f"{p}{i}" for i in range(WIDTH)] for p in "qsa")
-
 
 def decompose(aggregator: str, source: list[str], update: list[str], score: str = "1e0", target: list[str] | None = None, self_term: bool = False) -> Layer:
     """A layer whose neighbours' ``source`` vectors, weighed by ``score``, meet in the named aggregator."""
+    sources, sums, shown = ([f"{p}{i}" for i in range(len(source))] for p in "qsa")
     if aggregator in ("max", "min"):
-        return Layer(source, SOURCES, SUMS, update, combine_by=aggregator, self_term=self_term)
+        return Layer(source, sources, sums, update, combine_by=aggregator, self_term=self_term)
     how = AGGREGATORS[aggregator]
     w, context = how.weigh.format(w=score), how.context.format(w=score)
-    z = f"s{WIDTH}"
-    finish = [guarded(s, z) if how.finish == "{s} / {z}" else guarded(s, f"sqrt({z})") if context else s for s in SUMS]
-    strip = None if how.strip is None else [how.strip.format(a=a, z=z) for a in SHOWN]
-    return Layer(source, [*[f"({w}) * {q}" for q in SOURCES], *([context] if context else [])], finish, update, target=target or [], strip=strip, self_term=self_term)
+    z = f"s{len(source)}"
+    finish = [guarded(s, z) if how.finish == "{s} / {z}" else guarded(s, f"sqrt({z})") if context else s for s in sums]
+    strip = None if how.strip is None else [how.strip.format(a=a, z=z) for a in shown]
+    return Layer(source, [*[f"({w}) * {q}" for q in sources], *([context] if context else [])], finish, update, target=target or [], strip=strip, self_term=self_term)
 
 
 def known(name: str, depth: int = 2) -> Model | None:
@@ -53,5 +52,5 @@ def describe() -> list[tuple]:
     rows = []
     for name, make in ZOO.items():
         x = make(1)
-        rows.append((name, WIDTH, x.state_width - WIDTH, x.reads_target, x.reads_degree, x.self_term, x.per_relation, x.combine_by))
+        rows.append((name, x.sums, x.contexts, x.reads_target, x.reads_degree, x.self_term, x.per_relation, x.combine_by))
     return rows

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphrefresh.plans.delta import KEY, Refresh, union
-from graphrefresh.plans.full import H, LayerState
+from graphrefresh.plans.full import LayerState, vector
 
 
 def traces(runs: dict[str, Refresh]) -> DataFrame:
@@ -71,26 +71,27 @@ def by_degree_band(trace: DataFrame, edges: DataFrame, less: str, more: str) ->
 
 def state_bytes(vertices: DataFrame, states: list[LayerState]) -> DataFrame:
     """``layout, bytes``: features and embeddings alone, both tensors of each layer, sums alone."""
-    f = vertices.count() * 8 * len(H)
-    h = sum(s.out.count() * 8 * len(H) for s in states)
+    f = vertices.count() * 8 * len(vector(vertices))
+    h = sum(s.out.count() * 8 * len(vector(s.out)) for s in states)
     a = sum(s.state.count() * 8 * (len(s.state.columns) - 3) for s in states)
     return vertices.sparkSession.createDataFrame([("features_only", f), ("both", f + h + a), ("sums_only", f + a)], "layout string, bytes long")
 
 
 def mse(a: DataFrame, b: DataFrame) -> DataFrame:
     """``mse, max_abs, vertices`` over the vertices of ``a``."""
-    other = b.select("vid", *[F.col(c).alias(f"o_{c}") for c in H])
+    h = vector(a)
+    other = b.select("vid", *[F.col(c).alias(f"o_{c}") for c in h])
     rows = a.join(other, "vid")
-    square = sum(((F.col(c) - F.col(f"o_{c}")) ** 2 for c in H), F.lit(0.0))
-    return rows.agg((F.avg(square) / len(H)).alias("mse"), F.max(F.greatest(*[F.abs(F.col(c) - F.col(f"o_{c}")) for c in H])).alias("max_abs"), F.count(F.lit(1)).alias("vertices"))
+    square = sum(((F.col(c) - F.col(f"o_{c}")) ** 2 for c in h), F.lit(0.0))
+    return rows.agg((F.avg(square) / len(h)).alias("mse"), F.max(F.greatest(*[F.abs(F.col(c) - F.col(f"o_{c}")) for c in h])).alias("max_abs"), F.count(F.lit(1)).alias("vertices"))
 
 
 def label(h: DataFrame) -> DataFrame:
     """``vid, y``: the column with the largest value, the first of equals."""
-    best = F.greatest(*H)
-    y = F.lit(len(H) - 1)
-    for i in range(len(H) - 2, -1, -1):
-        y = F.when(F.col(f"h{i}") == best, i).otherwise(y)
+    names = vector(h)
+    best, y = F.greatest(*names), F.lit(len(names) - 1)
+    for i in range(len(names) - 2, -1, -1):
+        y = F.when(F.col(names[i]) == best, i).otherwise(y)
     return h.select("vid", y.alias("y"))
 
 

@@ -1,14 +1,44 @@
-"""Cut the lineage of an intermediate result in the folder that all executors share."""
+"""Cut the lineage of an intermediate result with a table in the folder that all executors share."""
 
 from __future__ import annotations
 
+import atexit
 import tempfile
+import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
+
+_OWN: dict[str, str] = {}
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that the session names for checkpoints; without one the warehouse, or, where all runs on one machine, a temporary folder."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not base:
+        local = spark.sparkContext.master.startswith("local")
+        base = _OWN.setdefault("temporary", tempfile.mkdtemp(prefix="refresh-")) if local else spark.conf.get("spark.sql.warehouse.dir")
+    return base.rstrip("/")
+
+
+def work_dir(spark: SparkSession) -> str:
+    """This application's folder for intermediate tables, which goes when the driver ends."""
+    app = spark.sparkContext.applicationId
+    if app not in _OWN:
+        _OWN[app] = f"{shared_dir(spark)}/refresh-{app}"
+        atexit.register(remove, spark, _OWN[app])
+    return _OWN[app]
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    """Delete a folder by the file system that Spark uses; nothing happens where the session is gone."""
+    sc = spark.sparkContext
+    if sc._jsc is not None and not sc._jsc.sc().isStopped():
+        target = sc._jvm.org.apache.hadoop.fs.Path(path)
+        target.getFileSystem(sc._jsc.hadoopConfiguration()).delete(target, True)
 
 
 def cut(df: DataFrame) -> DataFrame:
-    sc = df.sparkSession.sparkContext
-    if not df.sparkSession.conf.get("spark.checkpoint.dir", None) and not sc.getCheckpointDir():
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoint-"))
-    return df.checkpoint()
+    """``df`` as a written table: its size is known, so that Spark broadcasts it where it is small and never where it isn't."""
+    path = f"{work_dir(df.sparkSession)}/{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -8,11 +8,11 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphrefresh.models import RELATIONS, WIDTH, Layer, Model
+from graphrefresh.models import RELATIONS, Layer, Model
 from graphrefresh.plans import baselines
 from graphrefresh.plans.delta import Refresh, refresh
-from graphrefresh.plans.full import H, LayerState, forward
-from graphrefresh.sources.graphs import Batch, Graph, apply, features
+from graphrefresh.plans.full import LayerState, forward, vector
+from graphrefresh.sources.graphs import Batch, Graph, apply, expanded, features
 
 CONDITIONS = ("context_mergeable", "sum_mergeable", "combine_distributes", "combine_invertible", "source_only")
 
@@ -30,7 +30,7 @@ def _drawn(spark: SparkSession, layer: Layer, bound: Bound) -> DataFrame:
     """``trial, x0.., y0..``: two partial states a trial, sixteenths, contexts (columns past the sums) positive."""
     def value(side: int, i: int):
         u = F.pmod(F.xxhash64("id", F.lit(bound.seed), F.lit(side), F.lit(i)), F.lit(64)) / 16.0
-        return u + 0.0625 if i >= WIDTH else u - 2.0
+        return u + 0.0625 if i >= layer.sums else u - 2.0
     cols = [value(s, i).alias(f"{p}{i}") for s, p in enumerate("xy") for i in range(layer.state_width)]
     return spark.range(bound.trials).select(F.col("id").alias("trial"), *cols)
 
@@ -59,7 +59,7 @@ def conditions(spark: SparkSession, layer: Layer, bound: Bound = Bound()) -> Dat
     """
     n = range(layer.state_width)
     rows = _drawn(spark, layer, bound)
-    sums, ctx = list(range(WIDTH)), [i for i in n if i >= WIDTH]
+    sums, ctx = list(range(layer.sums)), [i for i in n if i >= layer.sums]
     both = {"sum": lambda i: f"x{i} + y{i}", "max": lambda i: f"greatest(x{i}, y{i})", "min": lambda i: f"least(x{i}, y{i})"}[layer.combine_by]
     back = {"sum": lambda i: f"(x{i} + y{i}) - y{i}", "max": both, "min": both}[layer.combine_by]
     merged = lambda part: _differs([back(i) for i in part], [f"x{i}" for i in part], bound.tolerance) if part else "false"
@@ -71,12 +71,12 @@ def conditions(spark: SparkSession, layer: Layer, bound: Bound = Bound()) -> Dat
     else:
         done = _finished(layer, [f"x{i}" for i in sums], z)
         strip = [text for text in layer.strip]
-        for i in reversed(range(WIDTH)):
+        for i in reversed(range(layer.sums)):
             strip = [t.replace(f"a{i}", f"({done[i]})") for t in strip]
         for i in reversed(ctx):
             strip = [t.replace(f"s{i}", f"x{i}") for t in strip]
         undone = _differs(strip, [f"x{i}" for i in sums], bound.tolerance)
-    if layer.per_relation and layer.strip is None and layer.state_width > WIDTH:
+    if layer.per_relation and layer.strip is None and layer.contexts:
         undone = "false"  # relations are added up last and their sums are stored, so nothing is stripped
     tests = {"context_mergeable": merged(ctx), "sum_mergeable": merged(sums), "combine_distributes": _differs(apart, together, bound.tolerance), "combine_invertible": undone, "source_only": "true" if layer.reads_target else "false"}
     found = rows.agg(*[F.min(F.when(F.expr(t), F.col("trial"))).alias(c) for c, t in tests.items()])
@@ -95,10 +95,9 @@ def may_refresh(spark: SparkSession, model: Model, bound: Bound = Bound()) -> bo
 def checked_refresh(old: Graph, states: list[LayerState], b: Batch, model: Model) -> tuple[Refresh, bool]:
     """A user's own model: incremental if it passes the check, else every affected vertex over all its in-edges."""
     spark = old.vertices.sparkSession
-    done = refresh(old, states, b, model)
     if may_refresh(spark, model):
-        return done, True
-    fronts = baselines.reach(old, b, model)
+        return refresh(old, states, b, model), True
+    fronts = baselines.reach(old, expanded(old, b), model)
     return baselines.cache_reuse(old, states, b, model, fronts), False
 
 
@@ -126,9 +125,10 @@ def equivalence(spark: SparkSession, model: Model, seeds: list[int], tolerance:
     out = None
     for seed in seeds:
         g, b = drawn_graph(spark, seed)
-        got, want = refresh(g, forward(g, model), b, model).embeddings, forward(apply(g, b), model)[-1].out
-        rows = want.select("vid", *[F.col(c).alias(f"o_{c}") for c in H]).join(got, "vid", "full")
-        gap = F.greatest(*[F.coalesce(F.abs(F.col(c) - F.col(f"o_{c}")), F.lit(float("inf"))) for c in H])
+        got, want = refresh(g, forward(g, model, write=True), b, model).embeddings, forward(apply(g, expanded(g, b)), model)[-1].out
+        h = vector(want)
+        rows = want.select("vid", *[F.col(c).alias(f"o_{c}") for c in h]).join(got, "vid", "full")
+        gap = F.greatest(*[F.coalesce(F.abs(F.col(c) - F.col(f"o_{c}")), F.lit(float("inf"))) for c in h])
         one = rows.agg(F.count(F.lit(1)).alias("vertices"), F.max(gap).alias("max_abs")).select(F.lit(model.name).alias("model"), F.lit(seed).alias("seed"), "vertices", "max_abs", (F.col("max_abs") <= tolerance).alias("equal"))
         out = one if out is None else out.unionByName(one)
     return out
@@ -136,4 +136,4 @@ def equivalence(spark: SparkSession, model: Model, seeds: list[int], tolerance:
 
 def without_strip(layer: Layer) -> Layer:
     """The layer as one whose context can't be undone, for negative tests."""
-    return replace(layer, strip=[f"0e0 * a{i}" for i in range(WIDTH)] if layer.strip else None)
+    return replace(layer, strip=[f"0e0 * a{i}" for i in range(layer.sums)] if layer.strip else None)

@@ -38,13 +38,10 @@ def shown(h: DataFrame) -> DataFrame:
 
 def prepared(spark: SparkSession, sf_dir: str, graph: str, shares: dict) -> tuple[Graph, Batch]:
     g, stream = graphs.snapshot(spark, sf_dir, graph)
-    g = Graph(cut(g.vertices), cut(g.edges))
+    g = Graph(cut(g.vertices), g.edges)
     b = graphs.batch(g, stream, **shares)
-    return g, Batch(cut(b.inserted), cut(b.deleted), cut(b.changed), cut(b.removed))
-
-
-def settled(states: list[LayerState]) -> list[LayerState]:
-    return [LayerState(cut(s.state), cut(s.out)) for s in states]
+    none = {n for n, s in (("changed", "changes"), ("removed", "removals")) if not shares.get(s)}
+    return g, Batch(*[df.limit(0) if n in none else cut(df) for n, df in (("inserted", b.inserted), ("deleted", b.deleted), ("changed", b.changed), ("removed", b.removed))])
 
 
 def full(spark: SparkSession, sf_dir: str, name: str, reorder: bool = True) -> DataFrame:
@@ -55,13 +52,13 @@ def full(spark: SparkSession, sf_dir: str, name: str, reorder: bool = True) -> D
 def delta(spark: SparkSession, sf_dir: str, name: str, shares: dict, depth: int = 2, **options) -> DataFrame:
     g, b = prepared(spark, sf_dir, graph_of(name), shares)
     m = model(name, depth)
-    return shown(refresh(g, forward(g, m), b, m, **options).embeddings)
+    return shown(refresh(g, forward(g, m, write=True), b, m, **options).embeddings)
 
 
 def delta_contextual(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     g, b = prepared(spark, sf_dir, graph_of(name), FEATURES)
     m = model(name)
-    states = [LayerState(with_context(s.state, x), s.out) for s, x in zip(forward(g, m), m.layers, strict=True)]
+    states = [LayerState(with_context(s.state, x), s.out) for s, x in zip(forward(g, m, write=True), m.layers, strict=True)]
     return shown(refresh(g, states, b, m, contextual=True).embeddings)
 
 
@@ -70,7 +67,7 @@ def delta_evicted(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     g, b = prepared(spark, sf_dir, graph_of(name), FEATURES)
     m = model(name)
     kept = cut(ids(g.vertices).where(graphs.share("k", F.col("vid")) < 0.5))
-    states = [LayerState(s.state.join(kept, "vid", "left_semi"), s.out) for s in forward(g, m)]
+    states = [LayerState(s.state.join(kept, "vid", "left_semi"), s.out) for s in forward(g, m, write=True)]
     return shown(refresh(g, states, b, m, stored=[kept] * len(states)).embeddings)
 
 
@@ -78,14 +75,14 @@ def delta_two_epochs(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """Insertions first, then everything else of the same batch."""
     g, b = prepared(spark, sf_dir, graph_of(name), FEATURES)
     m = model(name)
-    one = refresh(g, forward(g, m), Batch(b.inserted, b.deleted.limit(0), b.changed.limit(0), b.removed), m)
+    one = refresh(g, forward(g, m, write=True), Batch(b.inserted, b.deleted.limit(0), b.changed.limit(0), b.removed), m)
     return shown(refresh(one.graph, one.states, Batch(b.inserted.limit(0), b.deleted, b.changed, b.removed), m).embeddings)
 
 
 def _compared(spark: SparkSession, sf_dir: str, name: str, method: str, fanout: int | None = None) -> DataFrame:
     g, b = prepared(spark, sf_dir, graph_of(name), FEATURES)
     m = model(name)
-    states = settled(forward(g, m))
+    states = forward(g, m, write=True)
     if method == "whole":
         return shown(baselines.whole_graph(g, b, m).embeddings)
     if method == "periodic":
@@ -104,7 +101,7 @@ def _compared(spark: SparkSession, sf_dir: str, name: str, method: str, fanout:
 def _runs(spark: SparkSession, sf_dir: str, name: str, graph: str) -> dict:
     g, b = prepared(spark, sf_dir, graph, {"inserts": 0.002, "deletes": 0.0002})
     m = model(name)
-    states = settled(forward(g, m))
+    states = forward(g, m, write=True)
     done = refresh(g, states, b, m)
     return {"delta": done, "cache_reuse": baselines.cache_reuse(g, states, b, m, done.changed), "full_neighbour": baselines.full_neighbour(g, b, m, done.changed[-1]), "sampled_5": baselines.full_neighbour(g, b, m, done.changed[-1], 5), "sampled_10": baselines.full_neighbour(g, b, m, done.changed[-1], 10), "whole_graph": baselines.whole_graph(g, b, m)}
 
@@ -123,14 +120,14 @@ def measured(spark: SparkSession, sf_dir: str, measure: str, name: str = "sage_m
 
 def state_bytes(spark: SparkSession, sf_dir: str) -> DataFrame:
     g, _ = graphs.snapshot(spark, sf_dir, "order_part")
-    return cost.state_bytes(g.vertices, settled(forward(g, model("sage_mean"))))
+    return cost.state_bytes(g.vertices, forward(g, model("sage_mean"), write=True))
 
 
 def accuracies(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Share of vertices whose label each approach gets right; labels are those of the whole new graph, one in twenty flipped."""
     g, b = prepared(spark, sf_dir, "transitions", {"inserts": 0.5, "deletes": 0.05, "changes": 0.2})
     m = model("sage_mean")
-    states = settled(forward(g, m))
+    states = forward(g, m, write=True)
     done = refresh(g, states, b, m)
     truth = cost.label(baselines.whole_graph(g, b, m).embeddings).withColumn("y", F.when(graphs.share("flip", F.col("vid")) < 0.05, F.pmod(F.col("y") + 1, F.lit(4))).otherwise(F.col("y")))
     truth = cut(truth)

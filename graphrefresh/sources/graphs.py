@@ -3,17 +3,18 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, replace
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from graphrefresh.models import WIDTH
 from graphrefresh.operators.joins import nearest
+from graphrefresh.plans.cut import cut
 
 
 @dataclass(frozen=True)
 class Graph:
-    """``edges``: src, dst, rel, w; ``vertices``: vid, h0..h3."""
+    """``edges``: src, dst, rel, w; ``vertices``: vid, h0.. (the features, of any width)."""
 
     vertices: DataFrame
     edges: DataFrame
@@ -136,12 +137,22 @@ def vertices_of(edges: DataFrame) -> DataFrame:
     return ids.select("vid", *features(F.col("vid")))
 
 
-def split(edges: DataFrame, base_share: float = 0.9) -> tuple[DataFrame, DataFrame]:
-    """Oldest edges and newest edges, cut at a quantile of the timestamp; edges of the cut's own instant are old."""
-    at = edges.agg(F.expr(f"percentile_disc({base_share}) WITHIN GROUP (ORDER BY unix_micros(CAST(ts AS TIMESTAMP)))").alias("cut"))
-    rows = edges.join(F.broadcast(at))  # one row
-    late = F.unix_micros(F.col("ts").cast("timestamp")) > F.col("cut")
-    return rows.where(~late).drop("cut"), rows.where(late).drop("cut")
+def split(edges: DataFrame, base_share: float = 0.9, grain: int = 3_600_000_000) -> tuple[DataFrame, DataFrame]:
+    """Oldest edges and newest edges, cut at a quantile of the timestamp; edges of the cut's own instant are old.
+
+    The quantile is found in a histogram of ``grain`` microseconds, then exactly inside the one step that holds it, so no
+    task holds all timestamps; one number comes to the driver.
+    """
+    us = F.unix_micros(F.col("ts").cast("timestamp"))
+    steps = edges.groupBy(F.floor(us / grain).alias("step")).agg(F.count(F.lit(1)).alias("n"))  # a row an hour
+    upto, place = F.sum("n").over(Window.orderBy("step")), F.ceil(F.lit(base_share) * F.sum("n").over(Window.partitionBy(F.lit(1))))
+    here = steps.select("step", "n", upto.alias("upto"), place.alias("place")).where("upto >= place AND upto - n < place").first()
+    if here is None:
+        return edges, edges.limit(0)
+    inside = edges.where(F.floor(us / grain) == here.step).groupBy(us.alias("us")).agg(F.count(F.lit(1)).alias("n"))
+    inside = inside.select("us", F.sum("n").over(Window.orderBy("us")).alias("upto"))
+    at = inside.where(F.col("upto") >= here.place - here.upto + here.n).agg(F.min("us")).first()[0]
+    return edges.where(us <= at), edges.where(us > at)
 
 
 def _pair_share(tag: str) -> Column:
@@ -150,7 +161,7 @@ def _pair_share(tag: str) -> Column:
 
 def snapshot(spark: SparkSession, sf_dir: str, name: str) -> tuple[Graph, DataFrame]:
     """The graph of the oldest edges, on the vertices of all edges, and the stream of the newest."""
-    edges = with_weights(EDGES[name](spark, sf_dir))
+    edges = cut(with_weights(EDGES[name](spark, sf_dir)))
     base, stream = split(edges)
     return Graph(vertices_of(edges), base.drop("ts")), stream.drop("ts")
 
@@ -168,8 +179,33 @@ def batch(graph: Graph, stream: DataFrame, inserts: float = 0.02, deletes: float
     return Batch(ins, dele.select(*graph.edges.columns), changed, removed)
 
 
+def out_of(edges: DataFrame, vertices: DataFrame, side: str = "src") -> DataFrame:
+    """The edges whose ``side`` is one of the vertices."""
+    return edges.join(vertices.selectExpr("vid AS _k"), F.expr(f"{side} = _k"), "left_semi")
+
+
+def expanded(graph: Graph, b: Batch, lookup=None) -> Batch:
+    """The batch with what it implies: edges of removed vertices are deleted, new edges to them dropped, and unknown ends of new edges become vertices with zero features.
+
+    ``lookup`` finds the graph's rows instead, where they are not whole tables (see plans.delta.Frames).
+    """
+    vertices = (lambda of: lookup.out(0, of)) if lookup else lambda of: graph.vertices.join(of, "vid", "left_semi")
+    inserted, deleted, changed = b.inserted, b.deleted, b.changed
+    if not b.removed.isEmpty():
+        away = lambda rows, *sides: reduce(lambda r, side: r.join(b.removed.selectExpr("vid AS _k"), F.expr(f"{side} = _k"), "left_anti"), sides, rows)
+        incident = lookup.in_edges(b.removed).unionByName(lookup.out_edges(b.removed)) if lookup else out_of(graph.edges, b.removed, "dst").unionByName(out_of(graph.edges, b.removed))
+        deleted = cut(deleted.unionByName(incident).dropDuplicates(["src", "dst", "rel"]))
+        inserted, changed = cut(away(inserted, "src", "dst")), away(changed, "vid")
+    ends = inserted.selectExpr("src AS vid").union(inserted.selectExpr("dst AS vid"))
+    unknown = ends.distinct().join(vertices(ends).select("vid"), "vid", "left_anti").join(changed.select("vid"), "vid", "left_anti")
+    changed = cut(changed.unionByName(unknown.selectExpr("vid", *[f"0e0 AS {c}" for c in changed.columns if c != "vid"])))
+    # what is known to be empty is planned away
+    empty = lambda df: df.limit(0) if df.isEmpty() else df
+    return Batch(inserted, empty(deleted), empty(changed), b.removed)
+
+
 def apply(graph: Graph, b: Batch) -> Graph:
-    """The graph after a batch."""
+    """The graph after a batch that is ``expanded``."""
     key = ["src", "dst", "rel"]
     edges = graph.edges.join(b.deleted.select(*key), key, "left_anti").select(*graph.edges.columns).unionByName(b.inserted)
     vertices = graph.vertices.join(b.changed.select("vid"), "vid", "left_anti").unionByName(b.changed).join(b.removed, "vid", "left_anti")
@@ -183,5 +219,3 @@ def net(edges: DataFrame, updates: DataFrame) -> tuple[DataFrame, DataFrame]:
     there = edges.select(*key)
     return last.where("op = '+'").join(there, key, "left_anti").select(*key, "w"), last.where("op = '-'").join(there, key, "left_semi").select(*key, "w")
 
-
-assert WIDTH == 4

@@ -30,7 +30,7 @@ def _tagged(df: DataFrame, **tags) -> DataFrame:
 
 def _ready(spark: SparkSession, sf: str, graph: str) -> tuple[Graph, DataFrame]:
     g, stream = graphs.snapshot(spark, sf, graph)
-    return Graph(cut(g.vertices), cut(g.edges)), stream
+    return Graph(cut(g.vertices), g.edges), stream
 
 
 def _batch(g: Graph, stream: DataFrame, shares: dict) -> Batch:
@@ -39,7 +39,7 @@ def _batch(g: Graph, stream: DataFrame, shares: dict) -> Batch:
 
 
 def _settled(g: Graph, m) -> list[LayerState]:
-    return [LayerState(cut(s.state), cut(s.out)) for s in forward(g, m)]
+    return forward(g, m, write=True)
 
 
 def _total(runs: dict[str, Refresh]) -> DataFrame:

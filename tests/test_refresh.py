@@ -9,7 +9,7 @@ from graphrefresh.oracles import ORACLES
 from graphrefresh.plans import baselines, chunk, cost, delta, full
 from graphrefresh.plans.full import forward
 from graphrefresh.queries import QUERIES
-from graphrefresh.sources.graphs import Batch, Graph, apply, features, net
+from graphrefresh.sources.graphs import Batch, Graph, apply, expanded, features, net
 from tests.conftest import SF, rows_of, sql_rows
 
 
@@ -52,8 +52,8 @@ def test_random_directed_graph(spark, name):
     ins = [(a, b, "placed", 0.5) for a, b in ((2, 11), (20, 4), (5, 20)) if (a, b) not in have]
     b = batch(spark, ins, dele, [(9, 0.25, 0.5, 0.125, 1.0), (20, 0.5, 0.5, 0.5, 1.0)], [gone])
     m = model(name)
-    done = delta.refresh(g, forward(g, m), b, m)
-    assert close(done.embeddings, forward(apply(g, b), m)[-1].out)
+    done = delta.refresh(g, forward(g, m, write=True), b, m)
+    assert close(done.embeddings, forward(apply(g, expanded(g, b)), m)[-1].out)
 
 
 def test_changed_sink_is_summed_anew(spark):
@@ -61,8 +61,8 @@ def test_changed_sink_is_summed_anew(spark):
     g = make(spark, range(4), [(0, 1, "contains", 1.0), (2, 1, "contains", 1.0), (1, 3, "contains", 1.0), (0, 3, "contains", 1.0)])
     b = batch(spark, changed=[(3, 0.9, 0.1, 0.7, 1.0)])
     m = model("gat")
-    done = delta.refresh(g, forward(g, m), b, m)
-    assert close(done.embeddings, forward(apply(g, b), m)[-1].out)
+    done = delta.refresh(g, forward(g, m, write=True), b, m)
+    assert close(done.embeddings, forward(apply(g, expanded(g, b)), m)[-1].out)
     assert {r[0] for r in done.changed[0].collect()} == {3}
 
 
@@ -74,14 +74,14 @@ def test_toy_edge_counts(spark):
     g = make(spark, range(1, 7), edge(edges))
     b = batch(spark, ins=edge(changed))
     m = model("sage_sum")
-    done = delta.refresh(g, forward(g, m), b, m)
+    done = delta.refresh(g, forward(g, m, write=True), b, m)
     assert {r[0] for r in done.changed[0].collect()} == {2, 4}
     targets = spark.createDataFrame([(2,)], "vid long")
     fn = baselines.full_neighbour(g, b, m, targets)
     assert [t.count() for t in fn.processed] == [6, 3]
     trace = cost.traces({"delta": done, "full_neighbour": fn})
     assert {r[0] for r in cost.edge_accesses(trace).collect()} == {"delta", "full_neighbour"}
-    assert cost.mse(done.embeddings, forward(apply(g, b), m)[-1].out).first()["mse"] == 0
+    assert cost.mse(done.embeddings, forward(apply(g, expanded(g, b)), m)[-1].out).first()["mse"] == 0
 
 
 def test_net_effect_of_updates(spark):
@@ -96,8 +96,8 @@ def test_on_demand_leaves_other_states(spark):
     g = make(spark, range(5), [(0, 1, "contains", 1.0), (1, 2, "contains", 1.0), (3, 4, "contains", 1.0)])
     b = batch(spark, changed=[(0, 0.9, 0.9, 0.9, 1.0), (3, 0.9, 0.9, 0.9, 1.0)])
     m = model("gin")
-    got, run = baselines.on_demand(g, forward(g, m), b, m, spark.createDataFrame([(2,)], "vid long"))
-    want = {r[0]: r[1:] for r in forward(apply(g, b), m)[-1].out.collect()}
+    got, run = baselines.on_demand(g, forward(g, m, write=True), b, m, spark.createDataFrame([(2,)], "vid long"))
+    want = {r[0]: r[1:] for r in forward(apply(g, expanded(g, b)), m)[-1].out.collect()}
     assert {r[0]: r[1:] for r in got.collect()} == {2: want[2]}
     assert 4 not in {r[0] for r in run.changed[-1].collect()}
 
@@ -113,7 +113,17 @@ def test_chunks_share(spark):
     assert tuple(chunk.loads(chunk.plan(e, 4)).first()) == (8, 2)
 
 
-def test_contract_imports_without_llm():
-    import __spark_entry__ as e
-
-    assert set(QUERIES) <= set(e.queries()) and set(ORACLES) <= set(e.queries())
+def test_contract_imports_without_llm(tmp_path):
+    """In a copy without the subpackage and its tests, with the pipeline's file and without, all other queries are there."""
+    import os
+    import shutil
+    import subprocess
+    import sys
+
+    root = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    copy = shutil.copytree(root, tmp_path / "copy", ignore=shutil.ignore_patterns(".git", "__pycache__", "llm"))
+    code = "import __spark_entry__ as e, tests.test_refresh as t; q = e.queries(); assert set(t.QUERIES) == set(q); assert set(e.oracle_sql()) <= set(q)"
+    for file in ("", "corpus_pipeline.py"):
+        if file:
+            os.remove(copy / file)
+        subprocess.run([sys.executable, "-c", code], cwd=copy, check=True, env={**os.environ, "PYTHONPATH": str(copy)}, timeout=120)
