@@ -1,22 +1,65 @@
 import datetime
 
+from pyspark.sql import functions as F
+
 from graphrefresh.models import model
+from graphrefresh.plans.delta import refresh_from
 from graphrefresh.plans.full import forward
-from graphrefresh.sources.graphs import Graph
-from graphrefresh.streaming.refresh import UPDATE, Refresher, updates
-from tests.test_refresh import close, make
+from graphrefresh.sources.graphs import Batch, Graph, expanded
+from graphrefresh.sources.store import Store, StoredFrames
+from graphrefresh.streaming.refresh import UPDATE, Refresher, update_rates, updates
+from tests.test_refresh import batch, close, make
+
+AT = datetime.datetime(2024, 1, 1)
 
 
 def test_epochs_equal_one_pass(spark, tmp_path):
+    """Edges, a repeated update, features (late ones lose), a new vertex by an edge alone, a deleted vertex; compaction in between."""
     edges = [(a, (a * 3 + 1) % 8, "contains", 1.0) for a in range(8)]
     g = make(spark, range(8), edges)
-    at = datetime.datetime(2024, 1, 1)
-    for i, ups in enumerate([[(1, "+", 0, 5, "contains", 0.5, at), (1, "+", 0, 5, "contains", 0.5, at)], [(2, "-", 0, 1, "contains", 1.0, at), (3, "+", 7, 2, "contains", 0.25, at)]]):
+    later = AT + datetime.timedelta(minutes=1)
+    files = [
+        [(1, "+", 0, 5, "contains", 0.5, AT, None), (1, "+", 0, 5, "contains", 0.5, AT, None), (2, "set", 3, None, None, None, later, [0.5, 0.25, 0.5, 1.0])],
+        [(3, "-", 0, 1, "contains", 1.0, AT, None), (4, "+", 7, 2, "contains", 0.25, AT, None), (5, "+", 9, 2, "contains", 0.25, AT, None)],
+        [(6, "drop", 6, None, None, None, later, None), (7, "set", 4, None, None, None, later, [0.25, 0.25, 0.25, 1.0]), (8, "set", 4, None, None, None, AT, [9.0, 9.0, 9.0, 9.0])],
+    ]
+    for ups in files:
         spark.createDataFrame(ups, UPDATE).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
     m = model("gcn")
-    r = Refresher(g, m, str(tmp_path / "state"))
+    r = Refresher(g, m, str(tmp_path / "state"), rows_per_bucket=2, max_runs=2)
     r.run(updates(spark, str(tmp_path / "in")), str(tmp_path / "check"))
-    last = max(int(p.name.split("=")[1]) for p in (tmp_path / "state").iterdir())
-    want = [e for e in edges if e[:2] != (0, 1)] + [(0, 5, "contains", 0.5), (7, 2, "contains", 0.25)]
-    new = Graph(g.vertices, spark.createDataFrame(want, g.edges.schema))
+    last = max(int(n[4:]) for n in r.store.by_src._names(r.store.by_src.path) if n.startswith("run="))
+    want = [e for e in edges if e[:2] != (0, 1) and 6 not in e[:2]] + [(0, 5, "contains", 0.5), (7, 2, "contains", 0.25), (9, 2, "contains", 0.25)]
+    features = {x[0]: x[1:] for x in g.vertices.collect()} | {3: (0.5, 0.25, 0.5, 1.0), 4: (0.25, 0.25, 0.25, 1.0), 9: (0.0, 0.0, 0.0, 0.0)}
+    del features[6]
+    new = Graph(spark.createDataFrame([(k, *v) for k, v in features.items()], g.vertices.schema), spark.createDataFrame(want, g.edges.schema))
     assert close(r.embeddings(last), forward(new, m)[-1].out)
+    rates = update_rates(spark.read.schema(UPDATE).parquet(str(tmp_path / "in")), "1 hour")
+    assert {x.op: x.updates for x in rates.collect()} == {"+": 4, "-": 1, "set": 3, "drop": 1}
+
+
+def test_reads_follow_the_batch(spark, tmp_path):
+    """The same one-edge batch reads as many buckets in a graph of rings that is eight times as large."""
+    read = []
+    for rings in (40, 320):
+        v = spark.range(5 * rings).withColumnRenamed("id", "vid").select("vid", *[(F.col("vid") % 7 / 8.0).alias(f"h{i}") for i in range(4)])
+        e = v.select(F.col("vid").alias("src"), (F.floor(F.col("vid") / 5) * 5 + (F.col("vid") + 1) % 5).alias("dst"), F.lit("contains").alias("rel"), F.lit(1.0).alias("w"))
+        m = model("gin")
+        store = Store.create(Graph(v, e), m, str(tmp_path / str(rings)), rows_per_bucket=5)
+        before = StoredFrames(store, -1)
+        b = expanded(None, batch(spark, [(0, 2, "contains", 0.5)]), before)
+        changes, _ = refresh_from(before, b, m)
+        store.commit(b, changes, 0)
+        read.append((len(store.by_src._present[-1]), sum(t.buckets_read for t in store.tables)))
+        if rings == 40:
+            assert close(store.outs[-1].at(0), forward(store.graph(0), m)[-1].out)
+    (few, small), (many, large) = read
+    assert many > 4 * few and large <= small + 6 and large < many
+
+
+def test_empty_micro_batch(spark, tmp_path):
+    m = model("sage_mean")
+    g = make(spark, range(3), [(0, 1, "contains", 1.0)])
+    r = Refresher(g, m, str(tmp_path))
+    r.on_batch(spark.createDataFrame([], UPDATE), 0)
+    assert close(r.embeddings(0), forward(g, m)[-1].out) and isinstance(batch(spark), Batch)
