@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from graphrefresh import relational
+from graphrefresh import dense, relational, workloads
+from graphrefresh.functions.weights import Map, dot, number
 from graphrefresh.models import WIDTH, ZOO, Layer, Model, model
-from graphrefresh.queries import EDGES, FEATURES, GRAIN, VERTICES, graph_of
+from graphrefresh.queries import EDGES, FEATURES, GRAIN, NEW_ENDS, VERTICES, graph_of
 
 H = [f"h{i}" for i in range(WIDTH)]
 
@@ -51,31 +52,73 @@ e AS MATERIALIZED (SELECT * FROM (SELECT * FROM base WHERE NOT {_pair("d")} < {s
 deg AS (SELECT dst AS vid, count(*)::DOUBLE AS deg FROM e GROUP BY dst)""".replace("\nat AS", "\ncut_at AS").replace("all_e, at ", "all_e, cut_at ")
 
 
-def _layer(k: int, layer: Layer, below: str, edges: str = "e") -> str:
+def _mapped(rows: str, maps: tuple[Map, ...]) -> str:
+    for m in maps:
+        rows = f"(SELECT *, {', '.join(f'{dot([number(x) for x in row], [f'({i})' for i in m.inputs])} AS {c}' for row, c in zip(m.weights, m.outputs, strict=True))} FROM {rows})"
+    return rows
+
+
+def _layer(k: int, layer: Layer, below: str, edges: str = "e", width: int = WIDTH) -> str:
     rk = "rel" if layer.per_relation else "''"
     cols = lambda xs, p: ", ".join(f"{x} AS {p}{i}" for i, x in enumerate(xs))
-    out = f"q{k} AS (SELECT vid AS src, {cols(layer.source, 'q')} FROM (SELECT h.*, coalesce(deg, 0.0) AS deg FROM {below} h LEFT JOIN deg USING (vid)))"
+    out = f"q{k} AS (SELECT vid AS src, {cols(layer.source, 'q')} FROM {_mapped(f'(SELECT h.*, coalesce(deg, 0.0) AS deg FROM {below} h LEFT JOIN deg USING (vid))', layer.source_maps)})"
     if layer.reads_target:
-        out += f",\np{k} AS (SELECT vid AS dst, {cols(layer.target, 'p')} FROM {below})"
+        out += f",\np{k} AS (SELECT vid AS dst, {cols(layer.target, 'p')} FROM {_mapped(below, layer.target_maps)})"
     out += f",\nc{k} AS (SELECT dst AS vid, {rk} AS rk, {cols(layer.message, 'c')} FROM {edges} JOIN q{k} USING (src)" + (f" JOIN p{k} USING (dst)" if layer.reads_target else "") + ")"
     out += f",\ns{k} AS (SELECT vid, rk, " + ", ".join(f"{layer.combine_by}(c{i}) AS s{i}" for i in range(layer.state_width)) + f" FROM c{k} GROUP BY vid, rk)"
     out += f",\nb{k} AS (SELECT vid, {cols(layer.finish, 'a')} FROM s{k})"
-    out += f",\na{k} AS (SELECT vid, " + ", ".join(f"sum(a{i}) AS a{i}" for i in range(WIDTH)) + f" FROM b{k} GROUP BY vid)"
-    out += f",\nh_{k} AS MATERIALIZED (SELECT vid, {cols(layer.update, 'h')} FROM (SELECT h.vid, {', '.join('h.' + h for h in H)}, " + ", ".join(f"coalesce(a{i}, 0.0) AS a{i}" for i in range(WIDTH)) + f" FROM {below} h LEFT JOIN a{k} USING (vid)))"
-    return out
+    out += f",\na{k} AS (SELECT vid, " + ", ".join(f"sum(a{i}) AS a{i}" for i in range(layer.sums)) + f" FROM b{k} GROUP BY vid)"
+    rows = f"(SELECT h.vid, {', '.join(f'h.h{i}' for i in range(width))}, " + ", ".join(f"coalesce(a{i}, 0.0) AS a{i}" for i in range(layer.sums)) + f" FROM {below} h LEFT JOIN a{k} USING (vid))"
+    return out + f",\nh_{k} AS MATERIALIZED (SELECT vid, {cols(layer.update, 'h')} FROM {_mapped(rows, layer.update_maps)})"
+
 
+def _passes(m: Model, width: int = WIDTH) -> str:
+    widths = [width, *[len(x.update) for x in m.layers]]
+    return ",\n".join(_layer(k, x, "f" if k == 1 else f"h_{k - 1}", width=widths[k - 1]) for k, x in enumerate(m.layers, 1))
 
-def _passes(m: Model) -> str:
-    return ",\n".join(_layer(k, x, "f" if k == 1 else f"h_{k - 1}") for k, x in enumerate(m.layers, 1))
 
+def _shown(width: int) -> str:
+    return "vid, " + ", ".join(f"round(h{i} * {GRAIN}.0::DOUBLE) / {GRAIN}.0::DOUBLE + 0.0 AS d{i}" for i in range(width))
 
-_SHOWN = "vid, " + ", ".join(f"round({h} * {GRAIN}.0::DOUBLE) / {GRAIN}.0::DOUBLE + 0.0 AS d{i}" for i, h in enumerate(H))
+
+_SHOWN = _shown(WIDTH)
 
 
 def whole(name: str, shares: dict | None = None, depth: int = 2) -> str:
     return f"WITH {_graph(graph_of(name), shares)},\n{_passes(model(name, depth))}\nSELECT {_SHOWN} FROM h_{depth}"
 
 
+def new_ends(name: str) -> str:
+    """The new graph with edges to unknown vertices, whose features are zeros."""
+    rows = ", ".join(f"({a}, {b}, '{r}', {w}::DOUBLE)" for a, b, r, w in NEW_ENDS)
+    ids = ", ".join(f"({v}, 0.0, 0.0, 0.0, 0.0)" for v in sorted({v for e in NEW_ENDS for v in e[:2] if v < 0}))
+    graph = _graph("transitions", EDGES).replace("WHERE vid NOT IN (FROM gone)),", f"UNION ALL VALUES {ids}),", 1).replace("AND dst NOT IN (FROM gone))", f"AND dst NOT IN (FROM gone) UNION ALL VALUES {rows})", 1)
+    return f"WITH {graph},\n{_passes(model(name))}\nSELECT {_SHOWN} FROM h_2"
+
+
+def wide(kind: str, shares: dict | None = None, width: int = 64) -> str:
+    changed = _share("'f'", "vec_id") + f" < {(shares or {}).get('changes', 0.0)}"
+    x = ", ".join(f"round(embedding[{i + 1}]::DOUBLE * 64) / 64" + (f" + CASE WHEN {changed} THEN 0.5::DOUBLE ELSE 0 END" if i == 2 else "") + f" AS h{i}" for i in range(width))
+    graph = _graph("knn", shares)
+    a = graph.index("\nf AS (")
+    graph = graph[:a] + f"\nf AS (SELECT vec_id AS vid, {x} FROM embeddings)," + graph[graph.index("\ne AS MATERIALIZED"):]
+    return f"WITH {graph},\n{_passes(dense.dense_model(kind, dense.drawn_weights([width, 64, 64])), width)}\nSELECT {_shown(64)} FROM h_2"
+
+
+def redundancy(graph: str) -> str:
+    """Edges that each method processes for each of the hundred batches of a graph's newest tenth."""
+    return f"""SELECT '{graph}' AS graph, batch, sum(n) FILTER (method = 'delta')::BIGINT AS delta, sum(n) FILTER (method = 'cache_reuse')::BIGINT AS cache_reuse, sum(n) FILTER (method = 'full_neighbour')::BIGINT AS full_neighbour FROM (
+WITH t AS MATERIALIZED (SELECT src, dst, epoch_us(ts::TIMESTAMP) AS us FROM ({GRAPHS[graph]})), c AS (SELECT quantile_disc(us, 0.9) AS cut FROM t),
+base AS MATERIALIZED (SELECT src, dst FROM t, c WHERE us <= cut), s AS (SELECT t.* FROM t, c WHERE us > cut),
+m AS MATERIALIZED (SELECT src, dst, ((row_number() OVER (ORDER BY us, src, dst) - 1) * 100) // (SELECT count(*) FROM s) AS batch FROM s),
+x1 AS MATERIALIZED (SELECT DISTINCT batch, dst AS vid FROM m), x2 AS MATERIALIZED (FROM x1 UNION SELECT batch, dst FROM x1 JOIN base ON src = vid),
+y1 AS MATERIALIZED (SELECT batch, base.src AS vid FROM x2 JOIN base ON dst = vid UNION SELECT m.batch, m.src FROM x2 JOIN m ON m.batch = x2.batch AND dst = vid),
+w AS (SELECT 'delta' AS method, batch, 2 * count(*) AS n FROM m GROUP BY 2 UNION ALL SELECT 'delta', batch, count(*) FROM x1 JOIN base ON src = vid GROUP BY 2
+UNION ALL SELECT 'cache_reuse', batch, count(*) FROM (FROM x1 UNION ALL FROM x2) JOIN base ON dst = vid GROUP BY 2 UNION ALL SELECT 'cache_reuse', m.batch, count(*) FROM (FROM x1 UNION ALL FROM x2) x JOIN m ON m.batch = x.batch AND dst = vid GROUP BY 2
+UNION ALL SELECT 'full_neighbour', batch, count(*) FROM (FROM x2 UNION ALL FROM y1) JOIN base ON dst = vid GROUP BY 2 UNION ALL SELECT 'full_neighbour', m.batch, count(*) FROM (FROM x2 UNION ALL FROM y1) x JOIN m ON m.batch = x.batch AND dst = vid GROUP BY 2)
+FROM w) GROUP BY batch"""
+
+
 def _moved(shares: dict) -> str:
     return f"(SELECT src, dst, rel FROM base WHERE {_pair('d')} < {shares['deletes']} UNION ALL SELECT src, dst, rel FROM stream WHERE {_pair('i')} < {shares['inserts']})"
 
@@ -150,4 +193,17 @@ ORACLES |= {
     "delta_two_hop": f"WITH {_graph('transitions', EDGES)} SELECT a.src, b.dst, count(*) AS n FROM e a JOIN e b ON a.dst = b.src GROUP BY 1, 2",
     "sweep_chunk": " UNION ALL ".join(f"SELECT {n} AS max_edges, loads, shared_loads FROM ({_CHUNKS.replace('8192', str(n))})" for n in (512, 2048, 8192, 32768)),
 }
+_BAND = """, d AS (SELECT dst, count(*) AS deg FROM e GROUP BY 1), p AS (SELECT dst, rank() OVER (ORDER BY deg DESC) - 1 AS above, count(*) OVER () AS n FROM d)
+, k AS (SELECT dst, CASE WHEN above < 0.2 * n THEN 'top20' WHEN above < 0.5 * n THEN 'mid30' ELSE 'low50' END AS band FROM p)
+, v AS (SELECT band, count(*) FILTER (method = 'full_neighbour') - count(*) FILTER (method = 'delta') AS saved FROM t JOIN k USING (dst) WHERE method IN ('delta', 'full_neighbour') GROUP BY 1)
+SELECT band, saved / sum(saved) OVER () AS share FROM v"""
+ORACLES |= {
+    "delta_evicted_sage_max": whole("sage_max", FEATURES), "delta_evicted_sage_min": whole("sage_min", FEATURES), "delta_evicted_gin": whole("gin", FEATURES), "delta_evicted_gat": whole("gat", FEATURES),
+    "delta_new_vertices": new_ends("gcn"), "delta_new_vertices_gat": new_ends("gat"), "delta_agg_only_layout": whole("sage_mean", FEATURES), "delta_evicted_by_degree": whole("sage_mean", FEATURES),
+    "redundancy_by_batch": " UNION ALL ".join(redundancy(g) for g in workloads.REDUNDANCY_GRAPHS),
+    "volume_by_degree_band": _traces("cust_part") + _BAND,
+    "state_bytes_by_layout": f"WITH {_graph('order_part', None)}, n AS (SELECT (SELECT count(*) FROM f) * 32 AS f, 2 * (SELECT count(DISTINCT dst) FROM base) * 40 AS a) SELECT 'features_only' AS layout, f::BIGINT AS bytes FROM n UNION ALL SELECT 'both', (f + 2 * f + a)::BIGINT FROM n UNION ALL SELECT 'sums_only', (f + a)::BIGINT FROM n",
+}
+for _n in dense.KINDS:
+    ORACLES |= {f"full_wide_{_n}": wide(_n), f"delta_wide_{_n}": wide(_n, FEATURES)}
 ORACLES |= relational.ORACLES

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphrefresh.models import Model
@@ -17,10 +17,8 @@ def hottest(graph: Graph, fraction: float) -> DataFrame:
     """``vid`` of at least ``fraction`` of the vertices, those with the most in-edges; vertices of one degree stay together."""
     deg = ids(graph.vertices).join(degrees(graph.edges), "vid", "left").select("vid", F.coalesce("deg", F.lit(0.0)).alias("deg"))
     hist = deg.groupBy("deg").agg(F.count(F.lit(1)).alias("n"))
-    above = hist.withColumnRenamed("deg", "d").select("d", F.col("n").alias("m"))
-    least = hist.join(above, F.col("d") >= F.col("deg")).groupBy("deg").agg(F.sum("m").alias("upto"))  # degrees, not vertices
-    total = graph.vertices.agg(F.count(F.lit(1)).alias("v"))
-    wanted = least.join(F.broadcast(total)).where(F.col("upto") >= fraction * F.col("v")).agg(F.max("deg").alias("cut"))
+    upto, total = F.sum("n").over(Window.orderBy(F.desc("deg"))), F.sum("n").over(Window.partitionBy(F.lit(1)))
+    wanted = hist.select("deg", upto.alias("upto"), total.alias("total")).where(F.col("upto") >= fraction * F.col("total")).agg(F.max("deg").alias("cut"))  # a row a degree
     return deg.join(F.broadcast(wanted), F.col("deg") >= F.col("cut")).select("vid")
 
 

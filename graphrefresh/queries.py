@@ -8,13 +8,13 @@ from functools import partial
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphrefresh import relational, workloads
+from graphrefresh import dense, relational, workloads
 from graphrefresh.models import ZOO, model
-from graphrefresh.plans import baselines, chunk, cost
-from graphrefresh.plans.cut import cut
+from graphrefresh.plans import baselines, chunk, cost, upkeep
+from graphrefresh.plans.cut import cut, work_dir
 from graphrefresh.plans.delta import ids, refresh, with_context
-from graphrefresh.plans.full import H, LayerState, forward
-from graphrefresh.sources import graphs
+from graphrefresh.plans.full import LayerState, forward, rebuilt, vector
+from graphrefresh.sources import files, graphs
 from graphrefresh.sources.graphs import Batch, Graph
 
 #: Models whose messages read both ends run on the directed graph, typed ones on the typed one.
@@ -25,6 +25,8 @@ VERTICES = {"inserts": 0.05, "deletes": 0.01, "changes": 0.01, "removals": 0.01}
 
 
 GRAIN = 10_007
+#: Edges with ends that no graph has.
+NEW_ENDS = [(0, -4, "contains", 0.5), (-4, 1, "contains", 0.25), (-8, -4, "contains", 1.0)]
 
 
 def graph_of(name: str) -> str:
@@ -33,7 +35,7 @@ def graph_of(name: str) -> str:
 
 def shown(h: DataFrame) -> DataFrame:
     """Rounded to a multiple of 1/GRAIN, a prime, so that sums and means of binary fractions are never half-way."""
-    return h.select("vid", *[(F.round(F.col(c) * float(GRAIN), 0) / float(GRAIN) + F.lit(0.0)).alias(f"d{i}") for i, c in enumerate(H)])
+    return h.select("vid", *[(F.round(F.col(c) * float(GRAIN), 0) / float(GRAIN) + F.lit(0.0)).alias(f"d{i}") for i, c in enumerate(vector(h))])
 
 
 def prepared(spark: SparkSession, sf_dir: str, graph: str, shares: dict) -> tuple[Graph, Batch]:
@@ -71,6 +73,41 @@ def delta_evicted(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return shown(refresh(g, states, b, m, stored=[kept] * len(states)).embeddings)
 
 
+def delta_new_vertices(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """New edges bring ends that the graph doesn't have: they become vertices with zero features."""
+    g, b = prepared(spark, sf_dir, "transitions", EDGES)
+    m = model(name)
+    extra = spark.createDataFrame(NEW_ENDS, g.edges.schema)
+    return shown(refresh(g, forward(g, m, write=True), Batch(cut(b.inserted.unionByName(extra)), b.deleted, b.changed, b.removed), m).embeddings)
+
+
+def delta_layout(spark: SparkSession, sf_dir: str, layout: str) -> DataFrame:
+    """States that keep sums alone, embeddings made anew from them; or states of the half of the vertices with most in-edges."""
+    g, b = prepared(spark, sf_dir, "order_part", FEATURES)
+    m = model("sage_mean")
+    states = forward(g, m, write=True)
+    if layout == "sums":
+        return shown(refresh(g, rebuilt(g.vertices, states, m), b, m).embeddings)
+    states, kept = upkeep.evict(g, states, 0.5)
+    return shown(refresh(g, states, b, m, stored=[cut(kept[0])] * len(states)).embeddings)
+
+
+def wide(spark: SparkSession, sf_dir: str, kind: str, shares: dict | None = None) -> DataFrame:
+    """Layers of width 64 over the vectors of ``embeddings``, on the graph of nearest vectors; the model is written and loaded again."""
+    g, stream = graphs.snapshot(spark, sf_dir, "knn")
+    width = graphs.table(spark, sf_dir, "embeddings").agg(F.max(F.size("embedding"))).first()[0] or 1
+    x = graphs.table(spark, sf_dir, "embeddings", "vec_id", "embedding").select(F.col("vec_id").alias("vid"), *[(F.round(F.col("embedding")[i].cast("double") * 64) / 64).alias(f"h{i}") for i in range(width)])
+    g = Graph(cut(x), g.edges)
+    path = f"{work_dir(spark)}/model-{kind}"
+    files.save_model(spark, dense.dense_model(kind, dense.drawn_weights([width, 64, 64])), path)
+    m = files.load_model(spark, path)
+    if shares is None:
+        return shown(forward(g, m)[-1].out)
+    b = graphs.batch(g, stream, **shares)
+    b = Batch(cut(b.inserted), cut(b.deleted), cut(b.changed), b.removed)
+    return shown(refresh(g, forward(g, m, write=True), b, m).embeddings)
+
+
 def delta_two_epochs(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """Insertions first, then everything else of the same batch."""
     g, b = prepared(spark, sf_dir, graph_of(name), FEATURES)
@@ -164,6 +201,9 @@ QUERIES |= {
     "delta_pruned": partial(delta, name="gin", shares=FEATURES, prune=True), "delta_no_reorder": partial(delta, name="gcn", shares=FEATURES, reorder=False),
     "delta_contextual_gcn": partial(delta_contextual, name="gcn"), "delta_contextual_gat": partial(delta_contextual, name="gat"),
     "delta_evicted": partial(delta_evicted, name="sage_mean"), "delta_two_epochs_gin": partial(delta_two_epochs, name="gin"), "delta_two_epochs_gat": partial(delta_two_epochs, name="gat"),
+    "delta_evicted_sage_max": partial(delta_evicted, name="sage_max"), "delta_evicted_sage_min": partial(delta_evicted, name="sage_min"), "delta_evicted_gin": partial(delta_evicted, name="gin"), "delta_evicted_gat": partial(delta_evicted, name="gat"),
+    "delta_new_vertices": partial(delta_new_vertices, name="gcn"), "delta_new_vertices_gat": partial(delta_new_vertices, name="gat"),
+    "delta_agg_only_layout": partial(delta_layout, layout="sums"), "delta_evicted_by_degree": partial(delta_layout, layout="degree"),
     "whole_graph": partial(_compared, name="sage_mean", method="whole"), "periodic": partial(_compared, name="sage_mean", method="periodic"), "constmsg_fallback": partial(_compared, name="gat", method="const"),
     "cachereuse_gcn": partial(_compared, name="gcn", method="reuse"), "cachereuse_gat": partial(_compared, name="gat", method="reuse"), "fullnbr_sage_mean": partial(_compared, name="sage_mean", method="full"), "fullnbr_gat": partial(_compared, name="gat", method="full"),
     "sampled_sage_k5": partial(_compared, name="sage_mean", method="full", fanout=5), "sampled_sage_k10": partial(_compared, name="sage_mean", method="full", fanout=10), "sampled_sage_k20": partial(_compared, name="sage_mean", method="full", fanout=20),
@@ -172,4 +212,7 @@ QUERIES |= {
     "affected_share": partial(measured, measure="affected"), "volume_by_degree_band": partial(measured, measure="bands", graph="cust_part"), "mse_delta_vs_full": partial(measured, measure="mse"),
     "state_bytes_by_layout": state_bytes, "accuracy_by_approach": accuracies, "chunk_loads": chunk_loads, "degree_bands": degree_bands,
 }
+for _n in dense.KINDS:
+    QUERIES[f"full_wide_{_n}"] = partial(wide, kind=_n)
+    QUERIES[f"delta_wide_{_n}"] = partial(wide, kind=_n, shares=FEATURES)
 QUERIES |= relational.QUERIES | workloads.QUERIES

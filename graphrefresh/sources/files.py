@@ -8,6 +8,7 @@ from dataclasses import asdict
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from graphrefresh.functions.weights import Map
 from graphrefresh.models import Layer, Model
 
 EDGE = "src long, dst long, rel string, w double"
@@ -28,7 +29,8 @@ def model_text(model: Model) -> str:
 
 def model_of(text: str) -> Model:
     data = json.loads(text)
-    return Model(data["name"], tuple(Layer(**x) for x in data["layers"]))
+    maps = lambda ms: tuple(Map(m["name"], tuple(m["inputs"]), tuple(map(tuple, m["weights"]))) for m in ms)
+    return Model(data["name"], tuple(Layer(**{k: maps(v) if k.endswith("_maps") else v for k, v in x.items()}) for x in data["layers"]))
 
 
 def save_model(spark: SparkSession, model: Model, path: str) -> None:

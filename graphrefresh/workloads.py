@@ -12,7 +12,7 @@ from graphrefresh.operators import windows
 from graphrefresh.plans import baselines, catalogue, chunk, cost, twohop, upkeep, verify
 from graphrefresh.plans.cut import cut
 from graphrefresh.plans.delta import Refresh, ids, refresh
-from graphrefresh.plans.full import H, LayerState, forward, rebuilt
+from graphrefresh.plans.full import H, LayerState, forward
 from graphrefresh.sources import graphs
 from graphrefresh.sources.graphs import Batch, Graph
 
@@ -78,20 +78,6 @@ def custom_model(spark: SparkSession, sf: str) -> DataFrame:
     return cost.mse(done.embeddings, baselines.whole_graph(g, b, m).embeddings).select((F.col("max_abs") < 1e-9).alias("equal"), "vertices", F.lit(incremental).alias("incremental"))
 
 
-def sums_only_states(spark: SparkSession, sf: str) -> DataFrame:
-    """Embeddings after a batch when states keep sums alone."""
-    g, stream = _ready(spark, sf, "order_part")
-    m = model("sage_mean")
-    return refresh(g, rebuilt(g.vertices, _settled(g, m), m), _batch(g, stream, {"inserts": 0.05, "deletes": 0.01, "changes": 0.02}), m).embeddings
-
-
-def evicted_by_degree(spark: SparkSession, sf: str) -> DataFrame:
-    g, stream = _ready(spark, sf, "order_part")
-    m = model("sage_mean")
-    states, kept = upkeep.evict(g, _settled(g, m), 0.5)
-    return refresh(g, states, _batch(g, stream, {"inserts": 0.05, "deletes": 0.01, "changes": 0.02}), m, stored=[cut(k) for k in kept]).embeddings
-
-
 def drift_audit(spark: SparkSession, sf: str) -> DataFrame:
     """Drift of the sums after five batches that follow each other."""
     g, stream = _ready(spark, sf, "transitions")
@@ -177,18 +163,105 @@ def guard_overhead(spark: SparkSession, sf: str) -> DataFrame:
     return _union(out)
 
 
+def hundred_batches(spark: SparkSession, sf: str, graph: str) -> tuple[DataFrame, DataFrame]:
+    """The oldest nine tenths of a graph's edges, and the rest in a hundred batches by time (column ``batch``)."""
+    edges = cut(graphs.EDGES[graph](spark, sf).withColumn("us", F.unix_micros(F.col("ts").cast("timestamp"))))
+    base, stream = graphs.split(edges)
+    cuts = windows.batches(stream, 100, F.floor(F.col("us") / 3_600_000_000), "us", "src", "dst")
+    return base.select("src", "dst"), cut(cuts.select("batch", "src", "dst"))
+
+
+def batch_accesses(base: DataFrame, moved: DataFrame, depth: int = 2) -> DataFrame:
+    """``batch, delta, cache_reuse, full_neighbour``: edges that each method processes for every batch of new edges, each on the base alone, for a model that reads neither the destination nor degrees nor itself.
+
+    All batches go through the same joins, with the batch as part of the key: what they reach is told apart, the graph is
+    read once. A vertex's number of in-edges stands for its in-edges, so no edge is enumerated for the counts of a layer.
+    """
+    key = ["batch", "vid"]
+    deg = base.groupBy(F.col("dst").alias("vid")).agg(F.count(F.lit(1)).alias("n"))
+    more = moved.groupBy("batch", F.col("dst").alias("vid")).agg(F.count(F.lit(1)).alias("m"))
+    full = lambda vs: vs.join(deg, "vid", "left").join(more, key, "left").groupBy("batch").agg(F.sum(F.coalesce("n", F.lit(0)) + F.coalesce("m", F.lit(0))).alias("edges"))
+    new = moved.groupBy("batch").agg(F.count(F.lit(1)).alias("edges"))
+    ends = moved.select("batch", F.col("dst").alias("vid")).distinct()
+    counts, front = [], None
+    fan = base.groupBy(F.col("src").alias("vid")).agg(F.count(F.lit(1)).alias("n"))
+    for _ in range(depth):
+        counts.append(_tagged(new, method="delta"))
+        if front is not None:
+            counts.append(_tagged(front.join(fan, "vid").groupBy("batch").agg(F.sum("n").alias("edges")), method="delta"))
+            reached = front.join(base.select(F.col("src").alias("vid"), "dst"), "vid").select("batch", F.col("dst").alias("vid"))
+            front = cut(reached.unionByName(ends).distinct())
+        else:
+            front = cut(ends)
+        counts.append(_tagged(full(front), method="cache_reuse"))
+    need = front
+    for k in range(depth):
+        counts.append(_tagged(full(need), method="full_neighbour"))
+        if k < depth - 1:
+            below = need.join(base.select(F.col("dst").alias("vid"), "src"), "vid").select("batch", F.col("src").alias("vid"))
+            new_below = need.join(moved.select("batch", F.col("dst").alias("vid"), "src"), key).select("batch", F.col("src").alias("vid"))
+            need = cut(below.unionByName(new_below).distinct())
+    return _union(counts).groupBy("batch").pivot("method", ["delta", "cache_reuse", "full_neighbour"]).agg(F.sum("edges"))
+
+
 def redundancy_by_batch(spark: SparkSession, sf: str) -> DataFrame:
-    """``batch, method, share``: processed edges outside the affected part, for the 1st, 34th and 67th of a hundred batches of the stream, each on the base alone."""
-    g, stream = _ready(spark, sf, "user_item")
-    m, out = model("sage_mean"), []
-    states, cuts = _settled(g, m), cut(windows.batches(stream, 100, F.col("src") % 16, "src", "dst"))
+    """``graph, batch, delta, cache_reuse, full_neighbour``: edges processed for each of the hundred batches of the newest tenth of three graphs."""
+    return _union([_tagged(batch_accesses(*hundred_batches(spark, sf, g)), graph=g) for g in REDUNDANCY_GRAPHS])
+
+
+REDUNDANCY_GRAPHS = ("order_part", "user_item", "transitions")
+
+
+def prepared_runs(spark: SparkSession, sf: str, graph: str, name: str, inserts: int = 50):
+    """A settled graph and model and, batch by batch, one refresh of each method: (method, updates, run) with nothing but the refresh inside run."""
+    g, stream = _ready(spark, sf, graph)
+    m = model(name)
+    states = _settled(g, m)
     none = g.vertices.limit(0)
-    for k in (0, 33, 66):
-        b = Batch(cut(cuts.where(F.col("batch") == k).drop("batch")), g.edges.limit(0), none, ids(none))
-        done = refresh(g, states, b, m)
-        runs = {"delta": done, "cache_reuse": baselines.cache_reuse(g, states, b, m, done.changed), "full_neighbour": baselines.full_neighbour(g, b, m, done.changed[-1])}
-        out.append(_tagged(cost.redundant_share(cut(cost.traces(runs))), batch=k))
-    return _union(out)
+
+    def methods(seed: str) -> dict:
+        pick = cut(stream.orderBy(graphs.share(seed, "src", "dst"), "src", "dst").limit(inserts))
+        drop = cut(g.edges.orderBy(graphs.share(f"{seed}d", "src", "dst"), "src", "dst").limit(inserts))
+        b = Batch(pick, drop, none, ids(none))
+        def reached():
+            return baselines.reach(g, graphs.expanded(g, b), m)
+        return {
+            "delta": lambda: refresh(g, states, b, m).changes[-1].front,
+            "cache_reuse": lambda: baselines.cache_reuse(g, states, b, m, reached()).states[-1].state,
+            "full_neighbour": lambda: baselines.full_neighbour(g, b, m, reached()[-1]).embeddings,
+            "sampled_5": lambda: baselines.full_neighbour(g, b, m, reached()[-1], 5).embeddings,
+            "sampled_10": lambda: baselines.full_neighbour(g, b, m, reached()[-1], 10).embeddings,
+            "whole_graph": lambda: baselines.whole_graph(g, b, m).embeddings,
+        }
+
+    return methods, 2 * inserts
+
+
+def response_times(spark: SparkSession, sf: str, graphs_of: tuple = ("order_part",), models: tuple = ("gcn", "gat"), methods: tuple = ("delta", "cache_reuse", "full_neighbour", "sampled_5", "whole_graph"), runs: int = 2) -> DataFrame:
+    """``graph, model, method, seconds, throughput, speedup``: mean seconds of a refresh over ``runs`` batches after one to warm up, updated edges a second, and how many times as long as the incremental refresh it takes.
+
+    Every method has to find what a batch affects; the whole graph doesn't. ``seconds`` depend on the machine.
+    """
+    rows = []
+    for graph in graphs_of:
+        for name in models:
+            make, updates = prepared_runs(spark, sf, graph, name)
+            took: dict[str, list[float]] = {x: [] for x in methods}
+            for r in range(runs + 1):
+                todo = make(f"time{r}")
+                for x in methods:
+                    took[x].append(cost.timed(todo[x]))
+            mean = {x: sum(ts[1:]) / runs for x, ts in took.items()}
+            rows += [(graph, name, x, s, cost.throughput(updates, s), cost.speedup(s, mean["delta"])) for x, s in mean.items()]
+    return spark.createDataFrame(rows, "graph string, model string, method string, seconds double, throughput double, speedup double")
+
+
+def latency_bounds(spark: SparkSession, sf: str, bounds: tuple = (1.0, 5.0, 25.0, 50.0, 100.0), sizes: tuple = (10, 1000), runs: int = 2) -> DataFrame:
+    """``bound, updates, throughput``: for each latency bound the largest batch all of whose runs keep it, and its worst throughput."""
+    def seconds(n: int) -> list[float]:
+        make, _ = prepared_runs(spark, sf, "order_part", "gcn", n // 2)
+        return [cost.timed(make(f"bound{r}")["delta"]) for r in range(runs)]
+    return spark.createDataFrame(cost.bounded_throughput(seconds, list(sizes), list(bounds)), "bound double, updates long, throughput double")
 
 
 def analytic_costs(spark: SparkSession, sf: str) -> DataFrame:
@@ -244,5 +317,5 @@ def state_placement(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame(rows, "budget_mb int, layout string")
 
 
-QUERIES = {f.__name__: f for f in (conditions_report, equivalence_report, model_catalogue, custom_model, drift_audit, sweep_batch_size, sweep_queries, sweep_depth, sweep_eviction, sweep_chunk, guard_overhead, redundancy_by_batch, analytic_costs, trained_heads, state_placement)}
+QUERIES = {f.__name__: f for f in (conditions_report, equivalence_report, model_catalogue, custom_model, drift_audit, sweep_batch_size, sweep_queries, sweep_depth, sweep_eviction, sweep_chunk, guard_overhead, redundancy_by_batch, analytic_costs, trained_heads, state_placement, response_times, latency_bounds)}
 QUERIES |= {"delta_two_hop": two_hop_delta}
