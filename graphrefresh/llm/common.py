@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from graphrefresh.plans.cut import work_dir
+
 #: A word is a maximal run of anything but blank and the five ASCII line/tab controls.
 BLANK = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
@@ -33,19 +34,17 @@ def let(value: Column, body) -> Column:
     return F.element_at(F.transform(F.array(value), body), 1)
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors share; a temporary one only where the session names none."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        sc = spark.sparkContext
-        if not sc.getCheckpointDir():
-            sc.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoint-"))
-        base = sc.getCheckpointDir()
-    return base.rstrip("/")
+def work_path(spark: SparkSession, label: str) -> str:
+    """A new folder that the driver and all executors share, deleted with the application's others when the driver ends."""
+    return f"{work_dir(spark)}/{label}-{uuid.uuid4().hex}"
 
 
-def work_path(spark: SparkSession, label: str) -> str:
-    return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+def unused(name: str, *frames: DataFrame) -> str:
+    """``name``, or a longer one where a frame has a column of that name."""
+    taken = {c.lower() for f in frames for c in f.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name
 
 
 def written(df: DataFrame, label: str) -> DataFrame:

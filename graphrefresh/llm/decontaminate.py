@@ -2,21 +2,24 @@
 
 from __future__ import annotations
 
+from itertools import combinations
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphrefresh.llm.common import let, text_or_empty, words_of, written
+from graphrefresh.llm.common import let, text_or_empty, unused, words_of, written
 
 N_WORDS, NUM, DEN = 5, 4, 5  # five words a shingle; similarity of NUM / DEN or more
-#: Fingerprints have 64 bits. Of RADIUS + 1 blocks, two fingerprints that differ in RADIUS bits at most agree in one.
-RADIUS = 10
-#: Tables of the benchmark are broadcast up to this many rows; larger ones are joined by shuffle.
-BROADCAST_ROWS = 200_000
+#: Fingerprints have 64 bits, in BLOCKS equal blocks: two that differ in RADIUS bits at most differ in RADIUS // BLOCKS at most in one of them.
+RADIUS, BLOCKS = 10, 4
+#: Tables of the benchmark are broadcast up to this many rows and this many bytes of their files; larger ones are joined by shuffle.
+BROADCAST_ROWS, BROADCAST_BYTES = 500_000, 16 << 20
 
 
 def small(df: DataFrame) -> DataFrame:
     """Broadcast a written table of the benchmark if it is small enough."""
-    return F.broadcast(df) if df.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else df
+    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    return F.broadcast(df) if size <= BROADCAST_BYTES and df.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else df
 
 
 def _lower_words(text: Column) -> Column:
@@ -42,14 +45,22 @@ def simhash(words: Column) -> Column:
     return let(F.transform(words, lambda w: F.xxhash64(w)), bits)
 
 
-def blocks_of(fingerprint: Column, radius: int = RADIUS) -> Column:
-    """``array<bigint>`` of the radius + 1 blocks, each tagged with its number."""
-    n, out, at = radius + 1, [], 0
-    for k in range(n):
-        width = 64 // n + (k < 64 % n)
-        out.append(F.shiftrightunsigned(fingerprint, at).bitwiseAND(F.lit((1 << width) - 1)) * n + k)
-        at += width
-    return F.array(*out)
+def blocks_of(fingerprint: Column) -> Column:
+    """``array<bigint>`` of the blocks, each tagged with its number."""
+    width = 64 // BLOCKS
+    return F.array(*[F.shiftrightunsigned(fingerprint, k * width).bitwiseAND(F.lit((1 << width) - 1)) * BLOCKS + k for k in range(BLOCKS)])
+
+
+def probes_of(fingerprint: Column, radius: int = RADIUS) -> Column:
+    """All blocks that a fingerprint within ``radius`` can have: of each block those that differ in radius // BLOCKS bits at most.
+
+    An item's probes are looked up by a window's four blocks. With 65,536 values a block and 137 probes, a window meets one
+    item in 120 by chance.
+    """
+    width = 64 // BLOCKS
+    masks = [sum(1 << i for i in bits) for n in range(radius // BLOCKS + 1) for bits in combinations(range(width), n)]
+    flips = F.lit(",".join(str(m * BLOCKS) for m in masks))
+    return F.flatten(F.transform(blocks_of(fingerprint), lambda b: F.transform(F.split(flips, ",").cast("array<bigint>"), lambda m: b.bitwiseXOR(m))))
 
 
 def shared_grams(a: Column, b: Column) -> Column:
@@ -110,9 +121,9 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, radius: int = RADIUS) ->
     cut = text.join(places, (F.col("content") == F.col("c")) & F.col("doc_id").eqNullSafe(F.col("rep"))).select("content", _lower_words(F.col("text")).alias("words"), "ats")
     windows = cut.select("content", F.explode(let(F.col("words"), lambda w: F.transform("ats", lambda a: F.struct(a["start"].alias("start"), a["m"].alias("m"), F.slice(w, a["start"] + 1, a["m"]).alias("window"))))).alias("x")).select("content", "x.*").distinct()
     windows = written(windows.withColumn("fp", simhash(F.col("window"))), "windows")
-    index = items.select("item_id", F.col("m").alias("size"), "fingerprint", F.explode(blocks_of(F.col("fingerprint"), radius)).alias("block"))
+    index = items.select("item_id", F.col("m").alias("size"), "fingerprint", F.explode(probes_of(F.col("fingerprint"), radius)).alias("block"))
     index = written(index, "blocks")
-    near = windows.select("content", "start", "m", "fp", F.explode(blocks_of(F.col("fp"), radius)).alias("b")).join(small(index), (F.col("b") == F.col("block")) & (F.col("m") == F.col("size")))
+    near = windows.select("content", "start", "m", "fp", F.explode(blocks_of(F.col("fp"))).alias("b")).join(small(index), (F.col("b") == F.col("block")) & (F.col("m") == F.col("size")))
     near = near.where(F.bit_count(F.col("fp").bitwiseXOR(F.col("fingerprint"))) <= radius).select("content", "start", "m", "item_id")
     rare = written(rare_shingles(items), "rare")
     own = windows.select("content", "start", "m", F.explode(F.array_distinct(_shingles(F.col("window"), F.col("m")))).alias("shingle"))
@@ -135,6 +146,11 @@ def leaks(docs: DataFrame, benchmark: DataFrame, radius: int = RADIUS) -> DataFr
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """The rows of ``docs``, all columns, whose text leaks no item."""
-    found = contaminated(docs, benchmark, radius).select(F.col("content").alias("_c")).distinct()
-    return docs.join(found, F.unhex(F.md5(text_or_empty())) == F.col("_c"), "left_anti")
+    """The rows of ``docs``, all columns, whose text leaks no item.
+
+    Null and empty texts leak nothing and stay; null and repeated ids and repeated rows stay as often as they occur; extra
+    columns stay, whatever they are called; an empty benchmark leaves all rows, no rows give no rows.
+    """
+    c = unused("_c", docs)
+    found = contaminated(docs, benchmark, radius).select(F.col("content").alias(c)).distinct()
+    return docs.join(found, F.unhex(F.md5(text_or_empty())) == F.col(c), "left_anti")

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphrefresh.llm.common import text_or_empty, written
+from graphrefresh.llm.common import text_or_empty, unused, written
 from graphrefresh.llm.components import components
 
 N_WORDS, NUM, DEN = 5, 4, 5  # five words a shingle; similarity of NUM / DEN or more
@@ -176,9 +176,15 @@ def near_duplicates(docs: DataFrame, recall: float = RECALL, block_bytes: int =
 
 
 def one_of_each(docs: DataFrame, recall: float = RECALL) -> DataFrame:
-    """The rows of ``docs``, all columns, without near duplicates: of each class the row with the least doc_id, and of rows that repeat its id and text one. Classes without an id keep the row with the least text hash."""
+    """The rows of ``docs``, all columns, without near duplicates: of each class the row with the least doc_id, and of rows that repeat its id and text one.
+
+    Classes without an id keep the row with the least text hash. A null text is an empty one; extra columns stay, whatever
+    they are called; no rows give no rows.
+    """
     keep = near_duplicates(docs, recall).where(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("class_key").agg(F.min(F.struct("content", "doc_id")).alias("k"))
-    keep = keep.select(F.col("k.content").alias("_c"), F.col("k.doc_id").alias("_d"))
-    keyed = docs.withColumn("_content", F.hex(F.unhex(F.md5(text_or_empty()))))
-    kept = keyed.join(keep, (F.col("_content") == F.col("_c")) & F.col("doc_id").cast("long").eqNullSafe(F.col("_d")), "left_semi")
-    return kept.dropDuplicates(["_content", "doc_id"]).drop("_content")
+    content = unused("_content", docs)
+    keyed = docs.withColumn(content, F.hex(F.unhex(F.md5(text_or_empty()))))
+    c, d = unused("_c", keyed), unused("_d", keyed)
+    keep = keep.select(F.col("k.content").alias(c), F.col("k.doc_id").alias(d))
+    kept = keyed.join(keep, (F.col(content) == F.col(c)) & F.col("doc_id").cast("long").eqNullSafe(F.col(d)), "left_semi")
+    return kept.dropDuplicates([content, "doc_id"]).drop(content)

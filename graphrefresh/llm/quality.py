@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from graphrefresh.llm.common import BLANK_CHARS, let, text_or_empty, words_of
+from graphrefresh.llm.common import BLANK_CHARS, let, text_or_empty, unused, words_of
 
 MIN_WORDS = 50
 #: A line is boilerplate of its host when at least MIN_DOCS different documents and a SHARE of the host's have it.
@@ -80,9 +80,9 @@ def depletion(docs: DataFrame, key: str, min_docs: int = MIN_DOCS, share: float
     return hit.select(key, F.aggregate("lost", F.lit(0).cast("long"), lambda n, x: n + x["line_words"]).alias("lost_words"), F.col("lost.line_no").alias("lost_lines"))
 
 
-def _keyed(docs: DataFrame) -> DataFrame:
+def _keyed(docs: DataFrame, key: str = "_key") -> DataFrame:
     """Rows with the same id, text and host share a key, and so a verdict."""
-    return docs.withColumn("_key", F.md5(F.to_json(F.struct(F.col("doc_id"), F.md5(text_or_empty()).alias("t"), F.col("source")), {"ignoreNullFields": "false"})))
+    return docs.withColumn(key, F.md5(F.to_json(F.struct(F.col("doc_id"), F.md5(text_or_empty()).alias("t"), F.col("source")), {"ignoreNullFields": "false"})))
 
 
 def judge(docs: DataFrame, min_docs: int = MIN_DOCS, share: float = SHARE, keep_share: float = KEEP_SHARE) -> DataFrame:
@@ -100,14 +100,22 @@ def judge(docs: DataFrame, min_docs: int = MIN_DOCS, share: float = SHARE, keep_
 
 
 def clean(docs: DataFrame, min_docs: int = MIN_DOCS, share: float = SHARE, keep_share: float = KEEP_SHARE) -> DataFrame:
-    """The documents that ``judge`` keeps, with all their columns, without their boilerplate lines; n_chars, if there, follows the text."""
-    keyed = _keyed(docs)
-    lost = depletion(keyed, "_key", min_docs, share).withColumnsRenamed({"_key": "_k", "lost_words": "_lost_words", "lost_lines": "_lost_lines"})
-    counts = base_counts(keyed.select("_key", "text"), "_key").where(~F.col("base_failed")).select(F.col("_key").alias("_b"), F.col("n_words").alias("_n_words")).distinct()
-    out = keyed.join(counts, F.col("_key") == F.col("_b")).join(lost, F.col("_key") == F.col("_k"), "left")
-    out = out.where(F.col("_lost_words").isNull() | (F.col("_n_words") - F.col("_lost_words") >= keep_share * F.col("_n_words")))
-    rest = F.array_join(F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains("_lost_lines", i)), "\n")
-    out = out.withColumn("text", F.when(F.col("_lost_lines").isNull(), F.col("text")).otherwise(rest))
+    """The documents that ``judge`` keeps, with all their columns, without their boilerplate lines; n_chars, if there, follows the text.
+
+    A null or empty text has no words and goes; a null host is a host of its own; null and repeated ids, and repeated
+    rows, are judged like any other and stay as often as they occur; extra columns stay, whatever they are called; no rows
+    give no rows.
+    """
+    key, lines = unused("_key", docs), unused("_lines", docs)
+    keyed = _keyed(docs, key)
+    slim = keyed.select(F.col(key).alias("_key"), "text", "source")
+    lost = depletion(slim, "_key", min_docs, share).withColumnRenamed("_key", "_k")
+    counts = base_counts(slim, "_key").where(~F.col("base_failed")).select("_key", "n_words").distinct()
+    verdict = counts.join(lost, F.col("_key") == F.col("_k"), "left").where(F.col("lost_words").isNull() | (F.col("n_words") - F.col("lost_words") >= keep_share * F.col("n_words")))
+    k = unused("_verdict", keyed)
+    out = keyed.join(verdict.select(F.col("_key").alias(k), F.col("lost_lines").alias(lines)), F.col(key) == F.col(k))
+    rest = F.array_join(F.filter(F.split("text", "\n", -1), lambda x, i: ~F.array_contains(lines, i)), "\n")
+    out = out.withColumn("text", F.when(F.col(lines).isNull(), F.col("text")).otherwise(rest))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
     return out.select(*[F.col(f"`{c}`") for c in docs.columns])
