@@ -99,10 +99,11 @@ def parse_turns(formatted: Column, template: ChatTemplate | None = None) -> Colu
 
 
 def digest(formatted: DataFrame, template: ChatTemplate | None = None) -> DataFrame:
-    """Digests of what the formatted output says, for comparison with the input."""
-    turns = F.array_join(F.transform(parse_turns(F.col("formatted"), template), lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
+    """Digests of what the formatted output says, for comparison with the input: turns are counted and read back from the string."""
+    read = formatted.withColumn("read", parse_turns(F.col("formatted"), template))
+    turns = F.array_join(F.transform("read", lambda t: F.concat(t["role"], F.lit("\n"), t["text"], F.lit("\n"))), "")
     loss = F.array_join(F.transform(F.filter("segments", lambda s: s["loss"]), lambda s: unescape(s["text"])), "")
-    return formatted.select("*", turns.alias("turn_text"), loss.alias("loss_text")).select(
-        "conv_id", "n_turns", F.sha2("turn_text", 256).alias("turns_sha256"), F.length("loss_text").cast("long").alias("loss_chars"),
+    return read.select("*", turns.alias("turn_text"), loss.alias("loss_text")).select(
+        "conv_id", F.size("read").cast("long").alias("n_turns"), F.sha2("turn_text", 256).alias("turns_sha256"), F.length("loss_text").cast("long").alias("loss_chars"),
         F.sha2("loss_text", 256).alias("loss_sha256"), F.length("formatted").cast("long").alias("formatted_chars"), "valid",
     )
