@@ -5,14 +5,14 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from graphrefresh.llm.common import text_or_empty, written
+from graphrefresh.llm.common import text_or_empty, unused, written
 
 LEVELS = ("domain", "lang", "source")
 #: Integer weights by level and node, 1 for any other: languages lean to English; sources to the first few.
 WEIGHTS = {"domain": {"d0": 2, "d1": 3, "d2": 5}, "lang": {"en": 6, "de": 2, "fr": 2, "es": 1}, "source": {"src0": 4, "src1": 2}}
 SEED = "mix-1"
-#: Hexadecimal digits of the order hash that deal a leaf out; only one such bucket a leaf is looked at document by document.
-BUCKET_DIGITS = 3
+#: Hexadecimal digits of the order hash by which a leaf, and each bucket again, is dealt out; about as many documents as are left in a bucket.
+DIGITS, BUCKET_ROWS = 2, 1000
 
 
 def domain_of(source: Column) -> Column:
@@ -66,27 +66,39 @@ def _deal(children: DataFrame, parents: list[str], level: str, weights: dict) ->
     return out.select(*parents, level, F.when(F.col("full"), F.col("cap")).otherwise(share).alias("budget"))
 
 
-def select_prefixes(docs: DataFrame, share: tuple[int, int] = (3, 5), max_epochs: int = 2, weights: dict | None = None, seed: str = SEED, bucket_digits: int = BUCKET_DIGITS) -> DataFrame:
+def select_prefixes(docs: DataFrame, share: tuple[int, int] = (3, 5), max_epochs: int = 2, weights: dict | None = None, seed: str = SEED, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
     """``doc_id, domain, lang, source, tokens, content, epochs`` of the documents (doc_id, text, lang, source) that the mix takes.
 
     A leaf gives whole epochs while its budget covers them, then the prefix of one more epoch, in that epoch's own seeded
-    order, that does not exceed the rest. ``epochs`` is how often the document is taken. Running sums go over buckets of
-    the order hash and inside one bucket, so no task sees a whole leaf. Null names are the empty name, null text has no
+    order, that does not exceed the rest. ``epochs`` is how often the document is taken. Running sums go over the 256
+    buckets of a leaf by the order hash, over the 256 inside each of these, and so on, as deep as the largest leaf asks
+    for, then inside a bucket: no window sees more rows than that or much more than ``bucket_rows`` documents. Null names are the empty name, null text has no
     tokens, rows that repeat an id and text are documents of their own, a null id is ordered as an empty one; extra
     columns are ignored; no rows give no rows.
     """
     rows = written(leaves(docs), "mix")
-    sizes = rows.groupBy(*LEVELS).agg(F.sum("tokens").alias("available"))
-    plan = budgets(sizes, share, max_epochs, weights)
+    sizes = written(rows.groupBy(*LEVELS).agg(F.sum("tokens").alias("available"), F.count(F.lit(1)).alias("n")), "leaves")
+    depth, most = 1, sizes.agg(F.max("n")).first()[0] or 0
+    while most > bucket_rows * 16 ** (DIGITS * depth):
+        depth += 1
+    plan = budgets(sizes.drop("n"), share, max_epochs, weights)
     plan = plan.withColumn("whole", F.expr("CASE WHEN available = 0 THEN 0L ELSE budget DIV available END")).withColumn("rest", F.col("budget") - F.col("whole") * F.col("available"))
     rows = rows.join(plan.select(*LEVELS, "whole", "rest"), list(LEVELS))
     rows = rows.withColumn("h", F.md5(F.concat_ws("|", F.lit(seed), F.col("whole").cast("string"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))))
-    rows = rows.withColumn("bucket", F.substring("h", 1, bucket_digits))
     # one key for leaf and bucket: by the leaf's own columns Spark would deal whole leaves
-    rows = rows.withColumn("slot", F.to_json(F.struct(*LEVELS, "bucket")))
-    sums = rows.groupBy("slot").agg(F.sum("tokens").alias("s"), *[F.first(c).alias(c) for c in (*LEVELS, "bucket")])
-    earlier = Window.partitionBy(*LEVELS).orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    sums = sums.select("slot", F.coalesce(F.sum("s").over(earlier), F.lit(0)).alias("before"))
+    slot = lambda digits: F.to_json(F.struct(*LEVELS, F.substring("h", 1, digits).alias("bucket")))
+    rows = rows.withColumn("slot", slot(DIGITS * depth))
+    sums = written(rows.groupBy("slot").agg(F.sum("tokens").alias("s"), F.min("h").alias("h"), *[F.first(c).alias(c) for c in LEVELS]), "slots")
+    before = None
+    for level in range(1, depth + 1):
+        parent = sums.select("*", slot(DIGITS * (level - 1)).alias("parent"), slot(DIGITS * level).alias("here"))
+        here = parent.groupBy("parent", "here").agg(F.sum("s").alias("s"), F.min("h").alias("h"))
+        earlier = Window.partitionBy("parent").orderBy("h").rowsBetween(Window.unboundedPreceding, -1)
+        here = here.select("parent", "here", F.coalesce(F.sum("s").over(earlier), F.lit(0)).alias("b"))
+        if before is not None:
+            here = here.join(before.withColumnsRenamed({"here": "parent", "b": "a"}), "parent").select("here", (F.col("a") + F.col("b")).alias("b"))
+        before = here.select("here", "b")
+    sums = before.withColumnsRenamed({"here": "slot", "b": "before"})
     inside = Window.partitionBy("slot").orderBy("h", "content").rowsBetween(Window.unboundedPreceding, 0)
     rows = rows.join(sums, "slot")
     upto = F.col("before") + F.sum("tokens").over(inside)
@@ -95,6 +107,11 @@ def select_prefixes(docs: DataFrame, share: tuple[int, int] = (3, 5), max_epochs
 
 
 def mixed(docs: DataFrame, share: tuple[int, int] = (4, 5), weights: dict | None = None, seed: str = SEED) -> DataFrame:
-    """The rows of ``docs``, all columns, that a mix without repetition takes. Rows that repeat an id and text are taken together."""
-    taken = select_prefixes(docs, share, 1, weights, seed).select(F.col("doc_id").alias("_d"), F.col("content").alias("_c"))
-    return docs.join(taken, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.md5(text_or_empty()) == F.col("_c")), "left_semi")
+    """The rows of ``docs``, all columns, that a mix without repetition takes.
+
+    Rows that repeat an id and text are taken together. A null text is an empty one without tokens, null names are the
+    empty name, a null id is an id; extra columns stay, whatever they are called; no rows give no rows.
+    """
+    d, c = unused("_d", docs), unused("_c", docs)
+    taken = select_prefixes(docs, share, 1, weights, seed).select(F.col("doc_id").alias(d), F.col("content").alias(c))
+    return docs.join(taken, F.col("doc_id").eqNullSafe(F.col(d)) & (F.md5(text_or_empty()) == F.col(c)), "left_semi")
