@@ -20,8 +20,6 @@ MAX_RATED = 20_000
 EPOCHS, RATE, PENALTY, BATCH = 30, 0.05, 1e-3, 256
 #: A slot gets a weight when this share of the rated documents, and this number of them, have it: rarer words would only be learnt by heart.
 MIN_SHARE, MIN_RATED = 0.002, 3
-#: Scores are divided by the number of distinct words to this power.
-SCALE = 0.0
 #: A document is selected when its grade is probably above the lowest.
 TAIL, MIN_TAIL = 2, 0.45
 
@@ -46,12 +44,30 @@ def _offsets(xs: list[np.ndarray]) -> np.ndarray:
     return np.repeat(np.arange(len(xs)), [len(x) for x in xs])
 
 
-def _scores(weights: np.ndarray, slots: np.ndarray, rows: np.ndarray, n: int, scale: np.ndarray) -> np.ndarray:
-    return np.bincount(rows, weights[slots] * scale[rows], n)
+def _scores(weights: np.ndarray, slots: np.ndarray, rows: np.ndarray, n: int) -> np.ndarray:
+    return np.bincount(rows, weights[slots], n)
 
 
-def _scale(xs: list[np.ndarray]) -> np.ndarray:
-    return np.array([1 / max(len(x), 25) ** SCALE for x in xs])
+def sigmoid(z: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(z, -30, 30)))
+
+
+def slopes(scores: np.ndarray, thresholds: np.ndarray, grades: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of each document's negative log likelihood, the derivative by its score and by the thresholds (one column each)."""
+    edge, each = np.concatenate([[-np.inf], thresholds, [np.inf]]), np.arange(len(scores))
+    high, low = sigmoid(edge[grades + 1] - scores), sigmoid(edge[grades] - scores)
+    p = np.maximum(high - low, 1e-9)
+    up, down = high * (1 - high) / p, low * (1 - low) / p
+    by_edge = np.zeros((len(scores), len(edge)))
+    by_edge[each, grades + 1] -= up
+    by_edge[each, grades] += down
+    return up - down, by_edge[:, 1:-1]
+
+
+def loss(scores: np.ndarray, thresholds: np.ndarray, grades: np.ndarray) -> float:
+    """Mean negative log likelihood."""
+    edge = np.concatenate([[-np.inf], thresholds, [np.inf]])
+    return float(-np.log(np.maximum(sigmoid(edge[grades + 1] - scores) - sigmoid(edge[grades] - scores), 1e-9)).mean())
 
 
 def fit(xs: list[np.ndarray], grades: np.ndarray, n_grades: int | None = None, seed: int = 7) -> CumulativeLink:
@@ -70,20 +86,14 @@ def fit(xs: list[np.ndarray], grades: np.ndarray, n_grades: int | None = None, s
         for i in range(0, len(order), BATCH):
             part = order[i : i + BATCH]
             x, y = [xs[j] for j in part], grades[part]
-            slots, rows, scale = np.concatenate(x), _offsets(x), _scale(x)
-            s, th = _scores(w, slots, rows, len(x), scale), unroll(raw)
-            edge = np.concatenate([[-np.inf], th, [np.inf]])
-            f = lambda z: 1 / (1 + np.exp(-np.clip(z, -30, 30)))
-            hi, lo = f(edge[y + 1] - s), f(edge[y] - s)
-            p = np.maximum(hi - lo, 1e-9)
-            dhi, dlo = hi * (1 - hi) / p, lo * (1 - lo) / p
-            ds = dhi - dlo  # of the negative log likelihood by the score
-            grad = np.bincount(slots, (ds * scale)[rows], N_WEIGHTS) / len(x)
+            slots, rows = np.concatenate(x), _offsets(x)
+            by_score, by_threshold = slopes(_scores(w, slots, rows, len(x)), unroll(raw), y)
+            grad = np.bincount(slots, by_score[rows], N_WEIGHTS) / len(x)
             hit = np.unique(slots)
             grad[hit] += PENALTY * w[hit]
             g2[hit] += grad[hit] ** 2
             w[hit] -= RATE * grad[hit] / np.sqrt(g2[hit])
-            dth = np.array([(dlo[y == j + 1].sum() - dhi[y == j].sum()) / len(x) for j in range(k - 1)])
+            dth = by_threshold.sum(axis=0) / len(x)
             draw = np.concatenate([[dth.sum()], [dth[j:].sum() * np.exp(raw[j]) for j in range(1, k - 1)]])
             raw2 += draw**2
             raw -= RATE * draw / np.sqrt(raw2)
@@ -97,7 +107,12 @@ def graded(labels: DataFrame) -> DataFrame:
 
 
 def train(docs: DataFrame, grades: DataFrame, max_rated: int = MAX_RATED) -> CumulativeLink:
-    """Fit on at most ``max_rated`` rated documents; their distinct word slots, not their texts, come to the driver."""
+    """Fit on at most ``max_rated`` rated documents; their distinct word slots, not their texts, come to the driver.
+
+    Of rows that share a rated id one counts, so there are never more rows than rated ids. A null or empty text is a
+    document without words; documents without a grade, and grades without a document, play no part; without any rated
+    document the model gives every text the same grade.
+    """
     rated = grades.select("doc_id", "grade").orderBy(F.md5(F.col("doc_id").cast("string"))).limit(max_rated)
     rows = docs.select("doc_id", text_or_empty().alias("text")).join(rated, "doc_id").select("doc_id", "text", "grade")
 
@@ -106,7 +121,8 @@ def train(docs: DataFrame, grades: DataFrame, max_rated: int = MAX_RATED) -> Cum
             slots = [features(t).astype("<i4").tobytes() for t in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(slots, pa.binary()), b.column(2).cast(pa.int64())], ["doc_id", "slots", "grade"])
 
-    got = rows.mapInArrow(run, "doc_id long, slots binary, grade long").toArrow().sort_by([("doc_id", "ascending"), ("slots", "ascending")])
+    one = rows.mapInArrow(run, "doc_id long, slots binary, grade long").groupBy("doc_id").agg(F.min(F.struct("slots", "grade")).alias("x"))
+    got = one.select("doc_id", "x.slots", "x.grade").toArrow().sort_by("doc_id")
     xs = [np.frombuffer(x, "<i4").astype(np.int64) for x in got.column("slots").to_pylist()]
     return fit(xs, np.array(got.column("grade").to_pylist(), np.int64), 3)
 
@@ -128,7 +144,7 @@ def grade(docs: DataFrame, model: CumulativeLink, tail: int = TAIL, min_tail: fl
             for i in range(0, b.num_rows, 500):
                 part = b.slice(i, 500)
                 xs = [features(t) for t in part.column(1).to_pylist()]
-                s = _scores(m.weights, np.concatenate(xs) if xs else np.zeros(0, np.int64), _offsets(xs).astype(np.int64), len(xs), _scale(xs))
+                s = _scores(m.weights, np.concatenate(xs) if xs else np.zeros(0, np.int64), _offsets(xs).astype(np.int64), len(xs))
                 p = m.tails(s)
                 cols = [part.column(0), pa.array(p.sum(1)), *[pa.array(p[:, j]) for j in range(k)], pa.array(p[:, tail - 1] >= min_tail)]
                 yield pa.RecordBatch.from_arrays(cols, ["doc_id", "expected_grade", *[f"p_ge_{j + 1}" for j in range(k)], "kept"])
