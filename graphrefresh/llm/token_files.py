@@ -12,21 +12,26 @@ from pyspark.sql import functions as F
 from graphrefresh.llm.bpe import TOKENIZER, encoder
 from graphrefresh.llm.common import shuffle_partitions, text_or_empty, written
 
+#: Bytes of text that a file and its task hold.
+FILE_BYTES = 64 << 20
 SCHEMA = "doc_id long, seq long, ids array<int>"
 #: Every file has its rows in order, so a stripe or row group whose id range or Bloom filter excludes an id is skipped.
 ORC = {"orc.stripe.size": str(16 << 20), "orc.row.index.stride": "1000", "orc.create.index": "true", "orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01", "compression": "zstd"}
 
 
-def write_tokens(docs: DataFrame, path: str, tokenizer: str = TOKENIZER, end_id: int = 0) -> None:
+def write_tokens(docs: DataFrame, path: str, tokenizer: str = TOKENIZER, end_id: int = 0, file_bytes: int = FILE_BYTES) -> None:
     """Write ``doc_id, seq, ids`` of every row of ``docs`` (doc_id, text) to ORC files under ``path``, in ascending doc_id order over the files' names.
 
-    ``ids`` are the tokens of the whole text and then ``end_id``; ``seq`` is the row's place in its file. A null or empty
-    text is its end id alone; null doc_ids come first; rows with one doc_id stay together, in order of their texts.
-    Extra columns are ignored; no rows give files without rows. Only texts are shuffled, never ids.
+    ``ids`` are the tokens of the whole text and then ``end_id``; ``seq`` is the row's place in its file. A file holds
+    about ``file_bytes`` of text, however many there are. A null or empty text is its end id alone; null doc_ids come
+    first; rows with one doc_id follow each other, over several files if need be, in order of a hash of their texts, then
+    of the texts. Extra columns are ignored; no rows give files without rows. Only texts are shuffled, never ids.
     """
-    n = shuffle_partitions(docs.sparkSession)
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
-    placed = texts.repartitionByRange(n, "doc_id").sortWithinPartitions("doc_id", "text")
+    text = text_or_empty()
+    size = docs.agg(F.sum(F.octet_length(text))).first()[0] or 0
+    n = max(shuffle_partitions(docs.sparkSession), -(-size // file_bytes))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"), F.xxhash64(text).alias("h"))
+    placed = texts.repartitionByRange(n, "doc_id", "h").sortWithinPartitions("doc_id", "h", "text").drop("h")
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
