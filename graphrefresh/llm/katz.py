@@ -1,8 +1,9 @@
 """LM scoring by Katz backoff: Good-Turing discounted bigrams, exactly normalised backoff weights, unigrams, one unknown word.
 
 Texts become blocks of a few million tokens, each with its own vocabulary. A block asks the count tables, which are dealt
-out by word and by history, about each of its distinct words and pairs once, in one message to each task; what comes back
-is all that its texts need. So neither the model nor the texts are ever in one place, and a token costs a few bytes.
+out by word and by history, about each of its distinct words and pairs once, in one message to each task that has any; what comes back
+is all that its texts need. A block sends no more messages than it has distinct words or pairs, so their number grows with
+the corpus, not with its square. So neither the model nor the texts are ever in one place, and a token costs a few bytes.
 """
 
 from __future__ import annotations
@@ -22,6 +23,9 @@ from graphrefresh.llm.near_dup import mix
 K = 5
 #: Tokens of a block; tokens for each task of the count tables.
 BLOCK, SHARE = 1_500_000, 2_000_000
+#: At most as many histories are hot, whose followers are dealt out by pair and whose sums (some 60 bytes each) are broadcast.
+HOT = 16_384
+BLOCKS_A_TASK = 2
 #: Hash of the end token; ids of an unknown word and of the place before a text.
 END, UNKNOWN, START = 0xE4D0_0000_0000_0001, -1, -2
 
@@ -277,7 +281,7 @@ def _sum_tallies(answers: DataFrame) -> np.ndarray:
 
 
 def _hot_sums(answers: DataFrame) -> dict[int, tuple]:
-    """Sums of the hot histories, at most four for each task."""
+    """Sums of the hot histories, HOT at most: each has more than that part of all tokens."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -320,7 +324,10 @@ def score(docs: DataFrame, block_share: int = SHARE) -> DataFrame:
     words = written(base.mapInArrow(ask_words, _ANSWER).repartition(parts, "part").groupBy("part").applyInArrow(_word_task(parts), _ANSWER), "words")
     t = _sum_tallies(words)
     unigrams, n_total, n_types = Unigrams(t[: K + 2], float(t[K + 2]), float(t[K + 3])), int(t[K + 3]), int(t[K + 4])
-    hot = max(n_total / (4 * parts), 1.0)
+    hot = max(n_total / min(4 * parts, HOT), 1.0)
+    # a task has a few blocks and what the tables say of them, however many blocks there are
+    n_blocks = max(shuffle_partitions(spark), -(-base.count() // BLOCKS_A_TASK))
+    asking = base.repartition(n_blocks, "block")
 
     def ask_pairs(left: pa.Table, right: pa.Table) -> pa.Table:
         out = []
@@ -332,7 +339,7 @@ def score(docs: DataFrame, block_share: int = SHARE) -> DataFrame:
         kinds = [pa.int64(), pa.int32(), pa.bool_(), *[pa.binary()] * 5]
         return pa.table({n: pa.array([r[i] for r in out], k) for i, (n, k) in enumerate(zip(["block", "part", "hot", "a", "b", "c", "d", "e"], kinds, strict=True))})
 
-    asked = base.groupBy("block").cogroup(words.where("block >= 0").groupBy("block")).applyInArrow(ask_pairs, "block long, part int, hot boolean, a binary, b binary, c binary, d binary, e binary")
+    asked = asking.groupBy("block").cogroup(words.where("block >= 0").repartition(n_blocks, "block").groupBy("block")).applyInArrow(ask_pairs, "block long, part int, hot boolean, a binary, b binary, c binary, d binary, e binary")
     pairs = written(asked.repartition(parts, "part").groupBy("part").applyInArrow(_pair_task, _ANSWER), "pairs")
     d2 = discounts(_sum_tallies(pairs)[: K + 2])
     hot_sums = spark.sparkContext.broadcast(_hot_sums(pairs))
@@ -371,4 +378,4 @@ def score(docs: DataFrame, block_share: int = SHARE) -> DataFrame:
         return pa.concat_tables(out)
 
     answers = words.where("block >= 0").withColumn("level", F.lit(1)).unionByName(pairs.where("block >= 0").withColumn("level", F.lit(2)))
-    return base.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(add_up, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    return asking.groupBy("block").cogroup(answers.repartition(n_blocks, "block").groupBy("block")).applyInArrow(add_up, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
