@@ -8,6 +8,7 @@ whose suffixes share 200 bytes or more with that anchor's, which makes them neig
 from __future__ import annotations
 
 import hashlib
+from collections import Counter
 from collections.abc import Iterable, Iterator
 from functools import cache
 
@@ -241,8 +242,31 @@ def _decode(row: dict) -> Iterator[tuple[int, bytes, tuple]]:
         a, b = a + n, b + m
 
 
+def _same_bytes(data: np.ndarray, x: np.ndarray, y: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Whether the strings that start ``a`` bytes before the anchors of contexts ``x`` and ``b`` before those of ``y`` are equal, from how far the pairs of contexts agree on either side."""
+    pair, which = np.unique(x.astype(np.int64) * len(data) + y, return_inverse=True)
+    left, right = np.empty(len(pair), np.int64), np.empty(len(pair), np.int64)
+    for lo in range(0, len(pair), 20_000):
+        p = pair[lo : lo + 20_000]
+        differ = data[p // len(data)] != data[p % len(data)]
+        before, after = differ[:, :ROOM][:, ::-1], differ[:, ROOM:]
+        left[lo : lo + 20_000] = np.where(before.any(axis=1), before.argmax(axis=1), ROOM)
+        right[lo : lo + 20_000] = np.where(after.any(axis=1), after.argmax(axis=1), SPAN)
+    return (a == b) & (a <= left[which]) & (SPAN - a <= right[which])
+
+
+def _by_bytes(data: np.ndarray, rows: np.ndarray, before: np.ndarray, cluster: np.ndarray) -> np.ndarray:
+    """Which strings another context of the cluster has too, found by the strings themselves."""
+    keys = [(int(cluster[r]), int(a), data[r, ROOM - a : ROOM + SPAN - a].tobytes()) for r, a in zip(rows.tolist(), before.tolist(), strict=True)]
+    often = Counter(keys)
+    return np.array([often[k] > 1 for k in keys])
+
+
 def _equal_strings(rights: list[bytes], lefts: list[bytes], after: np.ndarray, weight: np.ndarray, cluster: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For each context the most and the fewest bytes before its anchor at which a string starts that another context (or the same, if it is there twice) has too; -1 for none."""
+    """For each context the most and the fewest bytes before its anchor at which a string starts that another context (or the same, if it is there twice) has too; -1 for none.
+
+    Hashes bring candidates together, bytes decide.
+    """
     n, before = len(rights), np.array([len(x) for x in lefts])
     data = np.frombuffer(b"".join(a.rjust(ROOM, b"\0") + r.ljust(SPAN, b"\0") for a, r in zip(lefts, rights, strict=True)), np.uint8).reshape(n, ROOM + SPAN)
     most, least = np.full(n, -1), np.full(n, -1)
@@ -259,10 +283,14 @@ def _equal_strings(rights: list[bytes], lefts: list[bytes], after: np.ndarray, w
         h = (c[r, ROOM + SPAN - a[k]] - c[r, ROOM - a[k]]) * inverse[ROOM - a[k]]
         key = mix(h + mix(a[k].astype(np.uint64) * np.uint64(_BASE) + mix(cluster[r].astype(np.uint64))))
         order = np.argsort(key)
-        eq = key[order][1:] == key[order][:-1]
+        eq = np.flatnonzero(key[order][1:] == key[order][:-1])
+        one, two = order[eq], order[eq + 1]
         hit = weight[r] > 1
-        hit[order[1:][eq]] = True
-        hit[order[:-1][eq]] = True
+        same = _same_bytes(data, r[one], r[two], a[k[one]], a[k[two]])
+        if same.all():
+            hit[one] = hit[two] = True
+        else:  # different strings met in one hash: tell them apart by their bytes
+            hit |= _by_bytes(data, r, a[k], cluster)
         r, k = r[hit], a[k[hit]]
         np.maximum.at(most, r, k)
         low = np.full(n, SPAN)
