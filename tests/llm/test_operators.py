@@ -108,6 +108,121 @@ def reference_ids(ts):
     return [t.encode(x or "", add_special_tokens=False).ids for x in ts]
 
 
+def test_grading_slopes_and_fit(docs, monkeypatch):
+    """Slopes against differences of the loss; the fit against another optimiser of the same likelihood; grades against a loop."""
+    rng = np.random.default_rng(3)
+    th, grades, scores = np.array([-0.5, 0.75]), rng.integers(0, 3, 40), rng.normal(size=40)
+    by_score, by_threshold = grading.slopes(scores, th, grades)
+    step = 1e-6
+    for i in range(0, 40, 7):
+        move = np.where(np.arange(40) == i, step, 0)
+        assert by_score[i] == pytest.approx(40 * (grading.loss(scores + move, th, grades) - grading.loss(scores - move, th, grades)) / (2 * step), abs=1e-5)
+    for j in range(2):
+        move = np.where(np.arange(2) == j, step, 0)
+        assert by_threshold[:, j].sum() == pytest.approx(40 * (grading.loss(scores, th + move, grades) - grading.loss(scores, th - move, grades)) / (2 * step), abs=1e-4)
+    x = (rng.random((600, 4)) < 0.5).astype(float)
+    y = np.digitize(x @ [1.5, -1.0, 0.5, 0.0] + rng.logistic(size=600), [-0.5, 1.0])
+    monkeypatch.setattr(grading, "EPOCHS", 600)
+    model = grading.fit([np.flatnonzero(row) for row in x], y, 3)
+    w, t = np.zeros(4), np.array([-0.5, 0.5])
+    for _ in range(3000):
+        by_score, by_threshold = grading.slopes(x @ w, t, y)
+        w, t = w - 0.5 * (x.T @ by_score / 600 + grading.PENALTY * w), t - 0.5 * by_threshold.sum(axis=0) / 600
+    assert grading.loss(x @ model.weights[:4], model.thresholds, y) < grading.loss(x @ w, t, y) + 0.01
+    assert np.abs(model.weights[:4] - w).max() < 0.3
+    weights = np.zeros(grading.N_WEIGHTS)
+    weights[grading.features("the cat")] = [0.5, -0.25]
+    m = grading.CumulativeLink(weights, np.array([-1.0, 1.0]))
+    got = sorted(((r.doc_id, r.expected_grade, r.p_ge_1, r.p_ge_2, r.kept) for r in grading.grade(docs, m).collect()), key=str)
+    want = []
+    for doc, text in rows(texts()):
+        score = sum(weights[i] for i in set(grading.features(text or "").tolist()))
+        p = [1 / (1 + math.exp(-(score - c))) for c in (-1.0, 1.0)]
+        want.append((doc, sum(p), *p, p[1] >= grading.MIN_TAIL))
+    for a, b in zip(got, sorted(want, key=str), strict=True):
+        assert a[0] == b[0] and a[4] == b[4] and a[1:4] == pytest.approx(b[1:4])
+
+
+def test_one_grade_for_a_repeated_id(spark):
+    docs = spark.createDataFrame([(1, "a b")] * 50 + [(2, "c")], "doc_id long, text string")
+    grades = spark.createDataFrame([(1, 0), (2, 2)], "doc_id long, grade long")
+    assert len(grading.train(docs, grades).thresholds) == 2
+
+
+def test_orc_skips_by_index(spark):
+    """Ids are run-length encoded integers in several stripes' groups; a filter on an id reads a group of rows, not the file."""
+    import glob
+
+    from pyarrow import orc
+
+    path = work_path(spark, "orc")
+    docs = spark.range(0, 20_000, 2, 1).selectExpr("id AS doc_id", "concat('some words ', id) AS text")
+    token_files.write_tokens(docs, path, file_bytes=1 << 30)
+    local = path.removeprefix("file:")
+    files = [orc.ORCFile(f) for f in sorted(glob.glob(f"{local}/*.orc"))]
+    assert sum(f.nrows for f in files) == 10_000 and {f.compression.lower() for f in files} == {"zstd"} and {f.row_index_stride for f in files} == {1000}
+    for wanted, found in ((4444, 1), (4445, 0)):
+        df = token_files.read_tokens(spark, path).where(f"doc_id = {wanted}")
+        assert len(df.collect()) == found
+        leaf = df._jdf.queryExecution().executedPlan().collectLeaves().apply(0)
+        assert leaf.metrics().apply("numOutputRows").value() <= 1000
+
+
+def test_hot_id_is_dealt_to_several_files(spark):
+    path = work_path(spark, "hot")
+    docs = spark.range(0, 4000).selectExpr("1L AS doc_id", "repeat(concat('w', id, ' '), 20) AS text")
+    token_files.write_tokens(docs, path, file_bytes=20_000)
+    per = [r["count"] for r in token_files.read_tokens(spark, path).groupBy("_metadata.file_name").count().collect()]
+    assert len(per) > 10 and max(per) < 1000
+    rows_ = sorted(token_files.summary(spark, path).collect(), key=lambda r: r.start)
+    assert all(a.start + a.n_tokens == b.start for a, b in zip(rows_, rows_[1:], strict=False)) and len(rows_) == 4000
+
+
+@pytest.mark.parametrize("stage", ["quality", "near", "leaks", "mix"])
+def test_clashing_columns_stay(spark, stage):
+    words = " ".join(f"w{i}" for i in range(80))
+    names = ["_key", "_k", "_lines", "_verdict", "_c", "_d", "_content", "content", "lost_words", "slot"]
+    values = [f"'{n}' AS `{n}`" for n in names]
+    docs = spark.range(3).selectExpr("id AS doc_id", f"concat('{words} ', id, ' tail', id * 7) AS text", "'en' AS lang", "'src0' AS source", *values)
+    bench = spark.createDataFrame([(1, "some thing else that is not there at all")], "item_id long, text string")
+    run = {"quality": quality.clean, "near": near_dup.one_of_each, "leaks": lambda d: decontaminate.clean(d, bench), "mix": lambda d: mixing.mixed(d, (1, 1))}[stage]
+    out = run(docs)
+    assert out.columns == docs.columns
+    got = out.collect()
+    assert got and all(r[n] == n for r in got for n in names)
+
+
+def test_mixing_is_the_same_at_any_depth(docs):
+    """Buckets of buckets choose what one level of buckets does."""
+    plain = rows_of(mixing.select_prefixes(docs))
+    assert rows_of(mixing.select_prefixes(docs, bucket_rows=0.001)) == plain
+
+
+def test_passages_are_caught_from_400_bytes_on(spark):
+    """A passage that three texts share goes when it has 400 bytes or more, of any number of words; a shorter one stays."""
+    rng = random.Random(9)
+    word = lambda n=5: "".join(rng.choice("abcdefghijklmnop") for _ in range(n))
+    prose = lambda n: " ".join(word() for _ in range(n))
+    long, short = prose(80), prose(60)
+    texts_ = [(i, f"{prose(50)} {p} {prose(50)}") for i, p in enumerate([long] * 3 + [short] * 3 + ["-"])]
+    got = {r.doc_id: r.n_removed for r in repeats.repeated_bytes(spark.createDataFrame(texts_, "doc_id long, text string")).collect()}
+    assert all(got[i] >= len(long) for i in range(3)) and not any(got[i] for i in range(3, 7))
+
+
+def test_strings_with_one_hash_are_told_apart(monkeypatch):
+    """With a hash that makes all strings equal, bytes alone decide."""
+    rng = np.random.default_rng(1)
+    base = rng.integers(97, 110, repeats.SPAN + repeats.ROOM).astype(np.uint8).tobytes()
+    other = rng.integers(97, 110, repeats.SPAN + repeats.ROOM).astype(np.uint8).tobytes()
+    room = repeats.ROOM
+    lefts, rights = [base[:room], base[:room], other[:room]], [base[room:], base[room:], base[room : room + 300] + other[:100]]
+    args = (rights, lefts, np.zeros(3, np.int64), np.ones(3, np.int64), np.zeros(3, np.int64))
+    want = repeats._equal_strings(*args)
+    monkeypatch.setattr(repeats, "mix", lambda x: np.zeros_like(x))
+    got = repeats._equal_strings(*args)
+    assert [x.tolist() for x in got] == [x.tolist() for x in want] and want[0].tolist() == [room, room, -1]
+
+
 def test_encoder_equals_library():
     rng = random.Random(2)
     ts = [*texts(), "a<|endoftext|>b", "x²y 3¹ ½", "it's we'll 'S  \n\n  x\t\ty __a_b 12ab", "日本 語\x1c\x85 z", "ª º µ ÿ×÷"] + ["".join(rng.choice("abé ÿ 's\n\t_19.,!'\xa0\xad\x00\x1b\x84~") for _ in range(rng.randint(1, 60))) for _ in range(2000)]
