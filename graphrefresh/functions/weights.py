@@ -84,6 +84,10 @@ def sigmoid(x: str) -> str:
     return f"(1e0 / (1e0 + exp(-({x}))))"
 
 
+def tanh(x: str) -> str:
+    return f"tanh({x})"
+
+
 def dot(a: list[str], b: list[str]) -> str:
     return "(" + " + ".join(f"{x} * {y}" for x, y in zip(a, b, strict=True)) + ")"
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from graphrefresh import dense, relational, workloads
 from graphrefresh.functions.weights import Map, dot, number
 from graphrefresh.models import WIDTH, ZOO, Layer, Model, model
-from graphrefresh.queries import EDGES, FEATURES, GRAIN, NEW_ENDS, VERTICES, graph_of
+from graphrefresh.queries import ACTIVATIONS, CHUNKED, EDGES, FEATURES, GRAIN, NEW_ENDS, VERTICES, graph_of
 
 H = [f"h{i}" for i in range(WIDTH)]
 
@@ -204,6 +204,18 @@ ORACLES |= {
     "volume_by_degree_band": _traces("cust_part") + _BAND,
     "state_bytes_by_layout": f"WITH {_graph('order_part', None)}, n AS (SELECT (SELECT count(*) FROM f) * 32 AS f, 2 * (SELECT count(DISTINCT dst) FROM base) * 40 AS a) SELECT 'features_only' AS layout, f::BIGINT AS bytes FROM n UNION ALL SELECT 'both', (f + 2 * f + a)::BIGINT FROM n UNION ALL SELECT 'sums_only', (f + a)::BIGINT FROM n",
 }
+_PASS = f"{{}},\n{_passes(model('rgcn'))}\nSELECT * FROM h_2"
+_FAR = " + ".join(f"abs(n.h{i} - coalesce(o.h{i}, 0.0))" for i in range(WIDTH))
+ORACLES |= {
+    "scenario_recommendation": f"WITH {_graph('user_item', EDGES)},\n{_passes(model('sage_mean'))}\nSELECT {_SHOWN} FROM h_2 WHERE vid IN (SELECT src FROM stream WHERE {_pair('i')} < {EDGES['inserts']} AND src % 2 = 0)",
+    "scenario_monitoring": f"SELECT * FROM (SELECT vid, round(({_FAR}) * {GRAIN}.0::DOUBLE) / {GRAIN}.0::DOUBLE AS moved FROM (WITH {_PASS.format(_graph('typed', EDGES))}) n LEFT JOIN (WITH {_PASS.format(_graph('typed', None))}) o USING (vid)) WHERE moved > 0",
+    "drift_controlled": whole("gcn"),
+    "activations": "SELECT vec_id, " + ", ".join(f"round({f('x')}, 6) AS {f.__name__}" for f in ACTIVATIONS) + " FROM (SELECT vec_id, embedding[1]::DOUBLE AS x FROM embeddings)",
+    "embedding_difference": f"WITH {_graph('order_part', None)} SELECT 0.0::DOUBLE AS max_abs, 0.0::DOUBLE AS max_relative, 0::BIGINT AS mismatches, count(*) AS vertices FROM f",
+    "chunk_sharing": _CHUNKS.partition("), l AS")[0] + ") SELECT a.chunk::BIGINT AS chunk_a, b.chunk::BIGINT AS chunk_b, count(*) AS shared FROM o a JOIN o b ON a.src = b.src AND b.chunk = a.chunk + 1 GROUP BY 1, 2",
+    "constmsg_edges": f"{_T}, n AS (SELECT method, count(*) AS edges FROM t GROUP BY 1) SELECT m AS model, c AS constant_messages, n.edges AS edges, d.edges AS delta_edges FROM (VALUES ('sage_sum', true, 'delta'), ('sage_mean', false, 'cache_reuse')) v(m, c, method) JOIN n USING (method), (SELECT edges FROM n WHERE method = 'delta') d",
+}
+ORACLES |= {f"delta_chunked_{n}": whole(n, FEATURES) for n in CHUNKED} | {f"constmsg_{n}": whole(n, FEATURES) for n in ("sage_sum", "sage_mean", "gin", "gcn")}
 for _n in dense.KINDS:
     ORACLES |= {f"full_wide_{_n}": wide(_n), f"delta_wide_{_n}": wide(_n, FEATURES)}
 ORACLES |= relational.ORACLES

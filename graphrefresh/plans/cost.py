@@ -86,6 +86,17 @@ def mse(a: DataFrame, b: DataFrame) -> DataFrame:
     return rows.agg((F.avg(square) / len(h)).alias("mse"), F.max(F.greatest(*[F.abs(F.col(c) - F.col(f"o_{c}")) for c in h])).alias("max_abs"), F.count(F.lit(1)).alias("vertices"))
 
 
+def difference(a: DataFrame, b: DataFrame, tolerance: float = 1e-9) -> DataFrame:
+    """``max_abs, max_relative, mismatches, vertices``: a vertex mismatches when any component differs by more than ``tolerance`` or it is in one of the two alone."""
+    h = vector(a)
+    rows = a.withColumn("_a", F.lit(True)).join(b.select("vid", *[F.col(c).alias(f"o_{c}") for c in h], F.lit(True).alias("_b")), "vid", "full")
+    gap = [F.abs(F.col(c) - F.col(f"o_{c}")) for c in h]
+    apart = F.greatest(*gap, F.lit(0.0))
+    relative = F.greatest(*[g / F.greatest(F.abs(F.col(f"o_{c}")), F.lit(1e-12)) for g, c in zip(gap, h, strict=True)], F.lit(0.0))
+    alone = F.col("_a").isNull() | F.col("_b").isNull()
+    return rows.agg(F.max(apart).alias("max_abs"), F.max(relative).alias("max_relative"), F.count_if(alone | (apart > tolerance)).alias("mismatches"), F.count(F.lit(1)).alias("vertices"))
+
+
 def label(h: DataFrame) -> DataFrame:
     """``vid, y``: the column with the largest value, the first of equals."""
     names = vector(h)
@@ -112,6 +123,17 @@ def timed(run: Callable[[], DataFrame]) -> float:
     return time.perf_counter() - start
 
 
+def phases(steps: dict[str, Callable[[], DataFrame]]) -> dict[str, float]:
+    """Seconds of each phase. A step does all that the steps before it do, so a phase is what its step takes longer; 0 where the clock's noise is larger than that. All steps run once before to warm up."""
+    for step in steps.values():
+        timed(step)
+    out, before = {}, 0.0
+    for name, step in steps.items():
+        took = timed(step)
+        out[name], before = max(took - before, 0.0), max(took, before)
+    return out
+
+
 def bounded_throughput(seconds: Callable[[int], list[float]], sizes: list[int], bounds: list[float]) -> list[tuple[float, int, float]]:
     """For each latency bound the largest batch all of whose runs keep it, and its worst throughput."""
     runs = {n: seconds(n) for n in sizes}

@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphrefresh.models import Layer, Model
+from graphrefresh.plans import chunk
 from graphrefresh.plans.cut import cut
 from graphrefresh.plans.full import LayerState, finish, fold, messages, output, sources, summed, targets, vector
 from graphrefresh.sources.graphs import Batch, Graph, apply, expanded, out_of
@@ -147,7 +148,7 @@ def merge(state: DataFrame, change: DataFrame, layer: Layer) -> DataFrame:
     return rows.where("n <> 0")
 
 
-def refresh_from(old: Frames, b: Batch, model: Model, *, need: list[DataFrame] | None = None, prune: bool = False, reorder: bool = True, stored: list[DataFrame] | None = None, contextual: bool = False) -> tuple[list[Change], Callable[[], list[DataFrame]]]:
+def refresh_from(old: Frames, b: Batch, model: Model, *, need: list[DataFrame] | None = None, prune: bool = False, reorder: bool = True, stored: list[DataFrame] | None = None, contextual: bool = False, chunks: tuple[int, int] | None = None) -> tuple[list[Change], Callable[[], list[DataFrame]]]:
     """By layer what an expanded batch changes, and (when called) the edges that were processed. See ``refresh`` for the options."""
     front = _fronted(b.changed, old.out(0, b.changed))
     fresh = ids(front.where(f"o{vector(b.changed)[0][1:]} IS NULL"))
@@ -177,7 +178,8 @@ def refresh_from(old: Frames, b: Batch, model: Model, *, need: list[DataFrame] |
         if layer.reads_target:
             part = cut(part)
         p = targets(old.out(k - 1, ids(part, "dst")), layer) if layer.reads_target else None
-        change = cut(fold(messages(part, q, p, layer, "kind", "sign").where("kind * sign >= 0"), layer, signed=True))
+        dealt, given = (part, q) if chunks is None else chunk.dealt(part, q, *chunks)
+        change = cut(fold(messages(dealt, given, p, layer, "kind", "sign").where("kind * sign >= 0"), layer, signed=True))
         hit = union(ids(change), fresh, *([ids(front)] if layer.self_term else []), *([again] if again is not None else []))
         affected = outside(hit, b.removed, "vid")
         affected = (affected if need is None else at(affected, need[k])).distinct()
@@ -215,19 +217,20 @@ def _both(old: Frames, k: int, layer: Layer, front: DataFrame, known: DataFrame,
     return sources(rows, layer, "sign")
 
 
-def refresh(old: Graph, states: list[LayerState], b: Batch, model: Model, *, need: list[DataFrame] | None = None, prune: bool = False, reorder: bool = True, stored: list[DataFrame] | None = None, contextual: bool = False) -> Refresh:
+def refresh(old: Graph, states: list[LayerState], b: Batch, model: Model, *, need: list[DataFrame] | None = None, prune: bool = False, reorder: bool = True, stored: list[DataFrame] | None = None, contextual: bool = False, chunks: tuple[int, int] | None = None) -> Refresh:
     """Embeddings after a batch, equal to those of a forward pass over the new graph.
 
     ``need`` restricts layer l to need[l] (see on_demand). ``prune`` drops vertices whose value came out as it was.
     ``reorder`` False does without the separation of context and sum: every destination whose in-edges changed is summed
     anew. ``stored`` names, by layer, the vertices whose sums are kept; others are summed anew when affected.
+    ``chunks`` (edges a chunk, neighbouring chunks that share what they load) makes the signed messages chunk by chunk.
     ``contextual`` takes and gives sums in their finished form, stripping the old context first. Ends of new edges that
     the graph doesn't have become vertices with zero features; edges of removed vertices go with them.
 
     The result's graph and states are plans over the old tables and the small tables of changes.
     """
     b = expanded(old, b)
-    changes, processed = refresh_from(Frames(old, states, stored is None), b, model, need=need, prune=prune, reorder=reorder, stored=stored, contextual=contextual)
+    changes, processed = refresh_from(Frames(old, states, stored is None), b, model, need=need, prune=prune, reorder=reorder, stored=stored, contextual=contextual, chunks=chunks)
 
     def after() -> list[LayerState]:
         return [LayerState(outside(s.state, c.touched, "vid").unionByName(c.state.select(*s.state.columns)), replaced(s.out, c.out, b.removed)) for s, c in zip(states, changes, strict=True)]

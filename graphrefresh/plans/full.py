@@ -52,8 +52,8 @@ def with_degree(h: DataFrame, degree: DataFrame) -> DataFrame:
 
 
 def messages(edges: DataFrame, q: DataFrame, p: DataFrame | None, layer: Layer, *keep: str) -> DataFrame:
-    """``dst, rk, c0..`` and ``keep``: one row per edge and row of q. The destination is joined only where messages read it."""
-    rows = edges.join(q, "src")
+    """``dst, rk, c0..`` and ``keep``: one row per edge and row of q. The destination is joined only where messages read it. Edges in chunks take q by chunk."""
+    rows = edges.join(q, ["chunk", "src"] if "chunk" in edges.columns else "src")
     if layer.reads_target:
         rows = rows.join(p, "dst")
     return rows.selectExpr("dst", ("rel" if layer.per_relation else "''") + " AS rk", *_as("c", layer.message), *keep)

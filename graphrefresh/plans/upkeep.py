@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from graphrefresh.models import Model
 from graphrefresh.plans import baselines, cost
 from graphrefresh.plans.delta import ids
-from graphrefresh.plans.full import LayerState, degrees
+from graphrefresh.plans.full import LayerState, degrees, forward
 from graphrefresh.sources.graphs import Batch, Graph, share
 
 
@@ -44,3 +44,14 @@ def audit(graph: Graph, states: list[LayerState], model: Model, fraction: float,
     none = Batch(graph.edges.limit(0), graph.edges.limit(0), graph.vertices.limit(0), ids(graph.vertices).limit(0))
     exact = baselines.full_neighbour(graph, none, model, sample).embeddings
     return cost.mse(exact, states[-1].out)
+
+
+def corrected(graph: Graph, states: list[LayerState], model: Model, tolerance: float, fraction: float = 0.01) -> tuple[list[LayerState], bool]:
+    """The states, or, where a sample's embeddings are further than ``tolerance`` from exact ones, those of a complete pass; also says which.
+
+    An empty sample, as of an empty graph, shows no drift; a drift that is no number counts as one.
+    """
+    drift = audit(graph, states, model, fraction).first()
+    if drift.vertices == 0 or drift.max_abs <= tolerance:
+        return states, False
+    return forward(graph, model, write=True), True

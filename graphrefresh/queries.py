@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphrefresh import dense, relational, workloads
+from graphrefresh.functions import weights
 from graphrefresh.models import ZOO, model
 from graphrefresh.plans import baselines, chunk, cost, upkeep
 from graphrefresh.plans.cut import cut, work_dir
@@ -108,6 +109,41 @@ def wide(spark: SparkSession, sf_dir: str, kind: str, shares: dict | None = None
     return shown(refresh(g, forward(g, m, write=True), b, m).embeddings)
 
 
+def drift_controlled(spark: SparkSession, sf_dir: str, off: float = 0.125) -> DataFrame:
+    """States of which a tenth of the vertices have drifted: the audit finds it and a complete pass puts it right."""
+    g, _ = graphs.snapshot(spark, sf_dir, "transitions")
+    g, m = Graph(cut(g.vertices), g.edges), model("gcn")
+    far = F.when(graphs.share("drift", F.col("vid")) < 0.1, off).otherwise(0.0)
+    drifted = [LayerState(s.state, s.out.select("vid", *[(F.col(c) + far).alias(c) for c in vector(s.out)])) for s in forward(g, m, write=True)]
+    return shown(upkeep.corrected(g, drifted, m, 1e-6, 0.5)[0][-1].out)
+
+
+def recommendation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Live interactions of users with items: after the newest, the embeddings of the users who made them, refreshed on demand."""
+    g, b = prepared(spark, sf_dir, "user_item", EDGES)
+    m = model("sage_mean")
+    active = cut(ids(b.inserted, "src").where("vid % 2 = 0").distinct())
+    return shown(baselines.on_demand(g, forward(g, m, write=True), b, m, active)[0])
+
+
+def monitoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Latest transactions on typed relations: ``vid, moved`` of the vertices whose embedding they move, and how far (sum of absolute changes)."""
+    g, b = prepared(spark, sf_dir, "typed", EDGES)
+    m = model("rgcn")
+    front = refresh(g, forward(g, m, write=True), b, m).changes[-1].front
+    far = sum((F.abs(F.col(c) - F.coalesce(F.col(f"o{c[1:]}"), F.lit(0.0))) for c in front.columns if c[0] == "h"), F.lit(0.0))
+    return front.select("vid", (F.round(far * float(GRAIN), 0) / float(GRAIN)).alias("moved")).where("moved > 0")
+
+
+def activations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The activation functions on a component of every vector."""
+    x = graphs.table(spark, sf_dir, "embeddings", "vec_id", "embedding").select("vec_id", F.get("embedding", F.lit(0)).cast("double").alias("x"))
+    return x.select("vec_id", *[F.round(F.expr(f("x")), 6).alias(f.__name__) for f in ACTIVATIONS])
+
+
+ACTIVATIONS = (weights.relu, weights.leaky_relu, weights.elu, weights.sigmoid, weights.tanh)
+
+
 def delta_two_epochs(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """Insertions first, then everything else of the same batch."""
     g, b = prepared(spark, sf_dir, graph_of(name), FEATURES)
@@ -150,6 +186,8 @@ def measured(spark: SparkSession, sf_dir: str, measure: str, name: str = "sage_m
         return cost.by_degree_band(trace, runs["delta"].graph.edges, "delta", "full_neighbour")
     if measure == "affected":
         return cost.affected_share(runs["delta"])
+    if measure == "difference":
+        return cost.difference(runs["delta"].embeddings, runs["whole_graph"].embeddings).select((F.round("max_abs", 9) + F.lit(0.0)).alias("max_abs"), (F.round("max_relative", 6) + F.lit(0.0)).alias("max_relative"), "mismatches", "vertices")
     if measure == "mse":
         return cost.mse(runs["delta"].embeddings, runs["whole_graph"].embeddings)
     return {"edges": cost.edge_accesses, "vertices": cost.vertex_accesses, "ratio": cost.normalised, "redundant": cost.redundant_share}[measure](trace)
@@ -181,7 +219,11 @@ def edges_of(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def chunk_loads(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return chunk.loads(chunk.plan(graphs.EDGES["order_part"](spark, sf_dir), 8192))
+    return chunk.loads(chunk.plan(graphs.EDGES["order_part"](spark, sf_dir).select("src", "dst"), 8192))
+
+
+def chunk_sharing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chunk.sharing(chunk.plan(graphs.EDGES["order_part"](spark, sf_dir).select("src", "dst"), 8192))
 
 
 def degree_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -209,9 +251,15 @@ QUERIES |= {
     "sampled_sage_k5": partial(_compared, name="sage_mean", method="full", fanout=5), "sampled_sage_k10": partial(_compared, name="sage_mean", method="full", fanout=10), "sampled_sage_k20": partial(_compared, name="sage_mean", method="full", fanout=20),
     "ondemand_gcn": partial(_compared, name="gcn", method="demand"), "ondemand_gat": partial(_compared, name="gat", method="demand"),
     "edge_accesses": partial(measured, measure="edges"), "vertex_accesses": partial(measured, measure="vertices"), "normalised_volume": partial(measured, measure="ratio"), "redundant_share": partial(measured, measure="redundant"),
-    "affected_share": partial(measured, measure="affected"), "volume_by_degree_band": partial(measured, measure="bands", graph="cust_part"), "mse_delta_vs_full": partial(measured, measure="mse"),
-    "state_bytes_by_layout": state_bytes, "accuracy_by_approach": accuracies, "chunk_loads": chunk_loads, "degree_bands": degree_bands,
+    "affected_share": partial(measured, measure="affected"), "volume_by_degree_band": partial(measured, measure="bands", graph="cust_part"), "embedding_difference": partial(measured, measure="difference"), "mse_delta_vs_full": partial(measured, measure="mse"),
+    "state_bytes_by_layout": state_bytes, "accuracy_by_approach": accuracies, "chunk_loads": chunk_loads, "chunk_sharing": chunk_sharing, "activations": activations, "drift_controlled": drift_controlled, "scenario_recommendation": recommendation, "scenario_monitoring": monitoring, "degree_bands": degree_bands,
 }
+#: Edges a chunk, and chunks that share what they load.
+CHUNKED = {"gcn": (512, 1), "gin": (512, 4), "gat": (2048, 2), "sage_max": (512, 4)}
+for _n, _c in CHUNKED.items():
+    QUERIES[f"delta_chunked_{_n}"] = partial(delta, name=_n, shares=FEATURES, chunks=_c)
+for _n in ("sage_sum", "sage_mean", "gin", "gcn"):
+    QUERIES[f"constmsg_{_n}"] = partial(_compared, name=_n, method="const")
 for _n in dense.KINDS:
     QUERIES[f"full_wide_{_n}"] = partial(wide, kind=_n)
     QUERIES[f"delta_wide_{_n}"] = partial(wide, kind=_n, shares=FEATURES)

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from graphrefresh.models import Model
 from graphrefresh.plans.cut import cut
 from graphrefresh.plans.delta import refresh_from
+from graphrefresh.plans.full import forward
 from graphrefresh.sources.graphs import Batch, Graph, expanded, net
 from graphrefresh.sources.store import Store, StoredFrames
 
@@ -29,9 +30,11 @@ class Refresher:
     """Keeps a graph's embeddings fresh. Epoch e is a run of changes over epoch e - 1, so a batch that is run again overwrites its own result and nothing else.
 
     A batch costs what it changes: edges, states and embeddings are read by the buckets of the vertices it reaches.
+    After every ``exact_every`` batches a complete pass makes a new base, which ends the drift of floating-point sums.
     """
 
-    def __init__(self, graph: Graph, model: Model, path: str, rows_per_bucket: int = 1_000_000, max_runs: int = 16):
+    def __init__(self, graph: Graph, model: Model, path: str, rows_per_bucket: int = 1_000_000, max_runs: int = 16, exact_every: int | None = None):
+        self.exact_every = exact_every
         self.model, self.store = model, Store.create(graph, model, path, -1, rows_per_bucket, max_runs)
 
     def on_batch(self, rows: DataFrame, batch_id: int) -> None:
@@ -39,6 +42,10 @@ class Refresher:
         b = batch_of(cut(rows), before)
         changes, _ = refresh_from(before, b, self.model)
         self.store.commit(b, changes, batch_id)
+        if self.exact_every and (batch_id + 1) % self.exact_every == 0:
+            now = self.store.graph(batch_id)
+            now = Graph(cut(now.vertices), cut(now.edges))
+            self.store.save(now, forward(now, self.model, write=True), batch_id)
 
     def run(self, stream: DataFrame, checkpoint: str) -> None:
         """Take in all that is there, then stop; a restart goes on after the last finished epoch."""

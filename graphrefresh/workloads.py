@@ -92,20 +92,20 @@ def drift_audit(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def sweep_batch_size(spark: SparkSession, sf: str) -> DataFrame:
-    """``updates, method, edges, seconds``: batches of 1 to 1,000 new edges on the same base."""
+    """``updates, method, edges, seconds``: batches of 1 to 10,000 new edges and of the whole stream, on the same base."""
     g, stream = _ready(spark, sf, "order_part")
     m, out = model("sage_mean"), []
-    states, pick = _settled(g, m), cut(stream.orderBy(graphs.share("b", "src", "dst")).limit(1000))
+    states, pick = _settled(g, m), cut(stream)
     none = g.vertices.limit(0)
-    for n in (1, 10, 100, 1000):
-        b = Batch(cut(pick.orderBy(graphs.share("b", "src", "dst")).limit(n)), g.edges.limit(0), none, ids(none))
+    for n in (1, 10, 100, 1000, 10_000, None):
+        b = Batch(pick if n is None else cut(pick.orderBy(graphs.share("b", "src", "dst"), "src", "dst").limit(n)), g.edges.limit(0), none, ids(none))
         runs, seconds = {}, {}
         seconds["delta"] = cost.timed(lambda: runs.setdefault("delta", refresh(g, states, b, m)).embeddings)
         changed = runs["delta"].changed
         seconds["cache_reuse"] = cost.timed(lambda: runs.setdefault("cache_reuse", baselines.cache_reuse(g, states, b, m, changed)).embeddings)
         seconds["full_neighbour"] = cost.timed(lambda: runs.setdefault("full_neighbour", baselines.full_neighbour(g, b, m, changed[-1])).embeddings)
         took = F.create_map(*[F.lit(x) for kv in seconds.items() for x in kv])
-        out.append(_tagged(_total(runs).withColumn("seconds", took[F.col("method")]), updates=n))
+        out.append(_tagged(_total(runs).withColumn("seconds", took[F.col("method")]), updates=str(n or "all")))
     return _union(out)
 
 
@@ -152,17 +152,64 @@ def sweep_chunk(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def guard_overhead(spark: SparkSession, sf: str) -> DataFrame:
-    """``model, edges, unguarded_edges``: what summing readers of their own embedding anew adds to the signed messages."""
+    """``model, edges, vertices, seconds`` and the same ``unguarded``: what summing readers of their own embedding anew adds to the signed messages; seconds depend on the machine."""
+    g, stream = _ready(spark, sf, "order_part")
+    b, rows = _batch(g, stream, SMALL), {}
+    for name in ("sage_mean", "gat", "agnn"):
+        m, runs = model(name), {}
+        states = _settled(g, m)
+        seconds = cost.timed(lambda: runs.setdefault("d", refresh(g, states, b, m)).changes[-1].front)
+        trace = cut(cost.traces(runs))
+        rows[name] = (trace.count(), cost.vertex_accesses(trace).agg(F.sum("vertices")).first()[0], seconds)
+    plain = rows.pop("sage_mean")
+    return spark.createDataFrame([(n, *r, *plain) for n, r in rows.items()], "model string, edges long, vertices long, seconds double, unguarded_edges long, unguarded_vertices long, unguarded_seconds double")
+
+
+def constmsg_edges(spark: SparkSession, sf: str) -> DataFrame:
+    """``model, constant_messages, edges, delta_edges``: edges that a system for constant messages processes, beside the incremental refresh."""
     g, stream = _ready(spark, sf, "order_part")
     b, out = _batch(g, stream, SMALL), []
-    plain = refresh(g, _settled(g, model("sage_mean")), b, model("sage_mean"))
-    base = _total({"d": plain}).select(F.col("edges").alias("unguarded_edges"))
-    for name in ("gat", "agnn"):
+    for name in ("sage_sum", "sage_mean"):
         m = model(name)
-        out.append(_tagged(_total({"d": refresh(g, _settled(g, m), b, m)}).select("edges").join(F.broadcast(base)), model=name))  # one row each
+        states = _settled(g, m)
+        run, kept = baselines.const_message_delta(g, states, b, m)
+        own = run if kept else refresh(g, states, b, m)
+        counts = _total({"const": run, "delta": own}).groupBy().pivot("method", ["const", "delta"]).agg(F.sum("edges"))
+        out.append(_tagged(counts.select(F.col("const").alias("edges"), F.col("delta").alias("delta_edges")), model=name, constant_messages=kept))
     return _union(out)
 
 
+def phase_times(spark: SparkSession, sf: str, graph: str = "order_part", name: str = "sage_mean") -> DataFrame:
+    """``method, phase, seconds, share``: finding what a batch affects, getting the edges to process, computing with them; seconds depend on the machine."""
+    g, stream = _ready(spark, sf, graph)
+    m, b = model(name), _batch(g, stream, SMALL)
+    states = _settled(g, m)
+
+    def found():
+        return baselines.reach(g, graphs.expanded(g, b), m)
+
+    def out_edges() -> DataFrame:
+        return _union([graphs.out_of(g.edges, f) for f in found()[:-1]] + [b.inserted, b.deleted])
+
+    def in_edges() -> DataFrame:
+        need, new, parts = found()[-1], graphs.apply(g, graphs.expanded(g, b)), []
+        for _ in m.layers:
+            parts.append(cut(graphs.out_of(new.edges, need, "dst")))
+            need = ids(parts[-1], "src").distinct()
+        return _union(parts)
+
+    detect = lambda: found()[-1]
+    steps = {
+        "delta": {"detect": detect, "construct": out_edges, "compute": lambda: refresh(g, states, b, m).changes[-1].front},
+        "full_neighbour": {"detect": detect, "construct": in_edges, "compute": lambda: baselines.full_neighbour(g, b, m, found()[-1]).embeddings},
+    }
+    rows = []
+    for method, todo in steps.items():
+        took = cost.phases(todo)
+        rows += [(method, phase, s, s / max(sum(took.values()), 1e-9)) for phase, s in took.items()]
+    return spark.createDataFrame(rows, "method string, phase string, seconds double, share double")
+
+
 def hundred_batches(spark: SparkSession, sf: str, graph: str) -> tuple[DataFrame, DataFrame]:
     """The oldest nine tenths of a graph's edges, and the rest in a hundred batches by time (column ``batch``)."""
     edges = cut(graphs.EDGES[graph](spark, sf).withColumn("us", F.unix_micros(F.col("ts").cast("timestamp"))))
@@ -317,5 +364,5 @@ def state_placement(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame(rows, "budget_mb int, layout string")
 
 
-QUERIES = {f.__name__: f for f in (conditions_report, equivalence_report, model_catalogue, custom_model, drift_audit, sweep_batch_size, sweep_queries, sweep_depth, sweep_eviction, sweep_chunk, guard_overhead, redundancy_by_batch, analytic_costs, trained_heads, state_placement, response_times, latency_bounds)}
+QUERIES = {f.__name__: f for f in (conditions_report, equivalence_report, model_catalogue, custom_model, drift_audit, sweep_batch_size, sweep_queries, sweep_depth, sweep_eviction, sweep_chunk, guard_overhead, redundancy_by_batch, analytic_costs, trained_heads, state_placement, response_times, latency_bounds, constmsg_edges, phase_times)}
 QUERIES |= {"delta_two_hop": two_hop_delta}

@@ -13,7 +13,7 @@ from graphrefresh.sources.graphs import Batch, Graph, apply, expanded, features,
 from tests.conftest import SF, rows_of, sql_rows
 
 
-@pytest.mark.parametrize("name", ["graph_transitions", "full_ggcn", "delta_gcn_features", "delta_gat_vertex_ops", "delta_rgcn_features", "delta_evicted", "ondemand_gcn", "sampled_sage_k5", "chunk_loads", "degree_bands"])
+@pytest.mark.parametrize("name", ["graph_transitions", "full_ggcn", "delta_gcn_features", "delta_gat_vertex_ops", "delta_rgcn_features", "delta_evicted", "ondemand_gcn", "sampled_sage_k5", "chunk_loads", "degree_bands", "chunk_sharing", "activations", "delta_chunked_gin", "scenario_recommendation", "scenario_monitoring", "drift_controlled"])
 def test_oracle(spark, sql, name):
     got = QUERIES[name](spark, SF)
     columns, want = sql_rows(sql, ORACLES[name])
@@ -127,3 +127,20 @@ def test_contract_imports_without_llm(tmp_path):
         if file:
             os.remove(copy / file)
         subprocess.run([sys.executable, "-c", code], cwd=copy, check=True, env={**os.environ, "PYTHONPATH": str(copy)}, timeout=120)
+
+
+def test_chunks_of_any_size_leave_the_result(spark):
+    """A hub over several chunks and destinations larger than a chunk."""
+    edges = [(0, d, "contains", 1.0) for d in range(1, 12)] + [(s, 12, "contains", 0.5) for s in range(1, 12)]
+    g = make(spark, range(14), edges)
+    b = batch(spark, ins=[(12, 13, "contains", 1.0)], dele=edges[:1], changed=[(0, 0.5, 0.25, 0.5, 1.0)])
+    for name, chunks in (("gcn", (3, 2)), ("agnn", (1, 1))):
+        m = model(name)
+        got = delta.refresh(g, forward(g, m, write=True), b, m, chunks=chunks)
+        assert close(got.embeddings, forward(apply(g, expanded(g, b)), m)[-1].out)
+
+
+def test_differences_count_what_is_missing(spark):
+    a = spark.createDataFrame([(1, 1.0), (2, 2.0), (3, 0.0)], "vid long, h0 double")
+    b = spark.createDataFrame([(1, 1.0), (2, 2.5), (4, 0.0)], "vid long, h0 double")
+    assert tuple(cost.difference(a, b).first()) == (0.5, 0.2, 3, 4)
