@@ -161,6 +161,16 @@ def _traces(graph: str) -> str:
     return f"WITH {_graph(graph, shares)},\n{_reached(model('sage_mean'), shares)},\nt AS MATERIALIZED (SELECT DISTINCT method, layer::INTEGER AS layer, src, dst, rel FROM ({every}))"
 
 
+def _depth(depth: int) -> str:
+    """Edges that each method processes in all layers of a mean model of that depth, for a small batch of changes."""
+    shares, levels = workloads.FEW, range(1, depth + 1)
+    need = [f"y_{depth} AS (FROM x_{depth})"] + [f"y_{k} AS MATERIALIZED (SELECT DISTINCT src AS vid FROM e WHERE dst IN (FROM y_{k + 1}))" for k in reversed(levels[:-1])]
+    rows = [f"SELECT 'delta' AS method, {k} AS layer, src, dst, rel FROM (SELECT src, dst, rel FROM base UNION SELECT src, dst, rel FROM e) WHERE src IN (FROM x_{k - 1}) UNION SELECT 'delta', {k}, src, dst, rel FROM {_moved(shares)}" for k in levels]
+    rows += [f"SELECT '{method}', {k}, src, dst, rel FROM e WHERE dst IN (FROM {at}_{k})" for method, at in (("cache_reuse", "x"), ("full_neighbour", "y")) for k in levels]
+    every, found = " UNION ".join(f"({r})" for r in rows), ",\n".join(need)
+    return f"SELECT {depth} AS depth, method, count(*) AS edges FROM (WITH {_graph('order_part', shares)},\n{_reached(model('sage_mean', depth), shares)},\n{found}\n{every}) GROUP BY 2"
+
+
 _BANDS = f"""WITH d AS (SELECT dst AS vid, count(*) AS deg FROM ({_ORDER_PART}) GROUP BY dst
 ), p AS (SELECT deg, rank() OVER (ORDER BY deg DESC) - 1 AS above, count(*) OVER () AS n FROM d)
 SELECT CASE WHEN above < 0.2 * n THEN 'top20' WHEN above < 0.5 * n THEN 'mid30' ELSE 'low50' END AS band, count(*) AS vertices, sum(deg)::BIGINT AS in_edges FROM p GROUP BY 1"""
@@ -191,6 +201,8 @@ ORACLES |= {
     "redundant_share": f"{_T} SELECT t.method, count(*) FILTER (d.src IS NULL) / count(*) AS share FROM t LEFT JOIN (SELECT * FROM t WHERE method = 'delta') d USING (layer, src, dst, rel) GROUP BY 1",
     "affected_share": f"{_T} SELECT layer, count(*) / (SELECT count(*) FROM e) AS edge_share, any_value(v) / (SELECT count(*) FROM f) AS vertex_share FROM t JOIN (SELECT 1 AS layer, count(*) AS v FROM x_1 UNION ALL SELECT 2, count(*) FROM x_2) USING (layer) WHERE method = 'delta' GROUP BY 1",
     "delta_two_hop": f"WITH {_graph('transitions', EDGES)} SELECT a.src, b.dst, count(*) AS n FROM e a JOIN e b ON a.dst = b.src GROUP BY 1, 2",
+    "sweep_depth": f"{_depth(2)} UNION ALL {_depth(3)}",
+    "analytic_costs": f"WITH {_graph('order_part', workloads.SMALL)},\n{_reached(model('sage_mean'), workloads.SMALL)},\nn AS (SELECT (SELECT count(*) FROM base) / (SELECT count(*) FROM f) AS d, (SELECT count(*) FROM {_moved(workloads.SMALL)}) AS u, (SELECT count(*) FROM x_2) / (SELECT greatest(count(*), 1) FROM x_1) AS a) SELECT method, round(d * u * power(CASE WHEN method = 'sampled' THEN least(a, 5.0) ELSE a END, p), 3) AS edges FROM n, (VALUES ('delta', 3), ('cache_reuse', 4), ('full_neighbour', 5), ('sampled', 5)) v(method, p)",
     "sweep_chunk": " UNION ALL ".join(f"SELECT {n} AS max_edges, loads, shared_loads FROM ({_CHUNKS.replace('8192', str(n))})" for n in (512, 2048, 8192, 32768)),
 }
 _BAND = """, d AS (SELECT dst, count(*) AS deg FROM e GROUP BY 1), p AS (SELECT dst, rank() OVER (ORDER BY deg DESC) - 1 AS above, count(*) OVER () AS n FROM d)

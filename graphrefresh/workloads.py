@@ -17,6 +17,7 @@ from graphrefresh.sources import graphs
 from graphrefresh.sources.graphs import Batch, Graph
 
 SMALL = {"inserts": 0.002, "deletes": 0.0002}
+FEW = {"inserts": 0.0005, "deletes": 0.002}
 CHUNKS = (512, 2048, 8192, 32768)
 
 
@@ -126,7 +127,7 @@ def sweep_queries(spark: SparkSession, sf: str) -> DataFrame:
 def sweep_depth(spark: SparkSession, sf: str) -> DataFrame:
     """``depth, method, edges`` for two and three layers."""
     g, stream = _ready(spark, sf, "order_part")
-    b, out = _batch(g, stream, {"inserts": 0.0005}), []
+    b, out = _batch(g, stream, FEW), []
     for depth in (2, 3):
         m = model("sage_mean", depth)
         states = _settled(g, m)
@@ -320,7 +321,7 @@ def analytic_costs(spark: SparkSession, sf: str) -> DataFrame:
     sizes = [c.count() for c in done.changed]
     alpha = sizes[1] / max(sizes[0], 1)
     d = g.edges.count() / max(g.vertices.count(), 1)
-    return spark.createDataFrame([(k, float(v)) for k, v in cost.analytic(d, updated, alpha, 2, min(alpha, 5.0)).items()], "method string, edges double")
+    return spark.createDataFrame([(k, round(float(v), 3)) for k, v in cost.analytic(d, updated, alpha, 2, min(alpha, 5.0)).items()], "method string, edges double")
 
 
 def trained_heads(spark: SparkSession, sf: str) -> DataFrame:
