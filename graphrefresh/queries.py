@@ -13,7 +13,7 @@ from graphrefresh.functions import weights
 from graphrefresh.models import ZOO, model
 from graphrefresh.plans import baselines, chunk, cost, upkeep
 from graphrefresh.plans.cut import cut, work_dir
-from graphrefresh.plans.delta import ids, refresh, with_context
+from graphrefresh.plans.delta import at, ids, refresh, with_context
 from graphrefresh.plans.full import LayerState, forward, rebuilt, vector
 from graphrefresh.sources import files, graphs
 from graphrefresh.sources.graphs import Batch, Graph
@@ -41,7 +41,7 @@ def shown(h: DataFrame) -> DataFrame:
 
 def prepared(spark: SparkSession, sf_dir: str, graph: str, shares: dict) -> tuple[Graph, Batch]:
     g, stream = graphs.snapshot(spark, sf_dir, graph)
-    g = Graph(cut(g.vertices), g.edges)
+    g = Graph(cut(g.vertices, probed=True), g.edges)
     b = graphs.batch(g, stream, **shares)
     none = {n for n, s in (("changed", "changes"), ("removed", "removals")) if not shares.get(s)}
     return g, Batch(*[df.limit(0) if n in none else cut(df) for n, df in (("inserted", b.inserted), ("deleted", b.deleted), ("changed", b.changed), ("removed", b.removed))])
@@ -70,7 +70,7 @@ def delta_evicted(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     g, b = prepared(spark, sf_dir, graph_of(name), FEATURES)
     m = model(name)
     kept = cut(ids(g.vertices).where(graphs.share("k", F.col("vid")) < 0.5))
-    states = [LayerState(s.state.join(kept, "vid", "left_semi"), s.out) for s in forward(g, m, write=True)]
+    states = [LayerState(at(s.state, kept), s.out) for s in forward(g, m, write=True)]
     return shown(refresh(g, states, b, m, stored=[kept] * len(states)).embeddings)
 
 

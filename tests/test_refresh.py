@@ -144,3 +144,28 @@ def test_differences_count_what_is_missing(spark):
     a = spark.createDataFrame([(1, 1.0), (2, 2.0), (3, 0.0)], "vid long, h0 double")
     b = spark.createDataFrame([(1, 1.0), (2, 2.5), (4, 0.0)], "vid long, h0 double")
     assert tuple(cost.difference(a, b).first()) == (0.5, 0.2, 3, 4)
+
+
+def test_many_rows_are_never_broadcast(spark, monkeypatch):
+    """Files of compressed ids look small to Spark; the driver would hold them many times as large."""
+    import importlib
+
+    written = importlib.import_module("graphrefresh.plans.cut")
+    monkeypatch.setattr(written, "BROADCAST_ROWS", 10)
+    edges = [(s, d, "contains", 0.5) for s in range(20) for d in range(20, 40) if (s + d) % 3]
+    g = make(spark, range(40), edges)
+    b = batch(spark, ins=[(0, 21 + d, "contains", 1.0) for d in range(12) if d % 3 == 0], dele=edges[:30], changed=[(i, 0.5, 0.25, 0.5, 1.0) for i in range(15)])
+    b = Batch(written.cut(b.inserted), written.cut(b.deleted), written.cut(b.changed), b.removed)
+    for name, chunks in (("sage_max", None), ("sage_min", (8, 2))):
+        m = model(name)
+        done = delta.refresh(g, forward(g, m, write=True), b, m, chunks=chunks)
+        assert close(done.embeddings, forward(apply(g, expanded(g, b)), m)[-1].out)
+        small = spark.conf.get("spark.sql.adaptive.enabled")
+        spark.conf.set("spark.sql.adaptive.enabled", "false")
+        try:
+            plan = delta.outside(g.edges, delta.ids(written.cut(b.deleted), "dst"))._jdf.queryExecution().executedPlan().toString()
+            few = delta.outside(g.edges, delta.ids(written.cut(b.inserted), "dst"))._jdf.queryExecution().executedPlan().toString()
+        finally:
+            spark.conf.set("spark.sql.adaptive.enabled", small)
+        assert "Broadcast" not in plan and "SortMergeJoin" in plan
+        assert "BroadcastHashJoin" in few
