@@ -5,6 +5,7 @@ from __future__ import annotations
 from graphrefresh import dense, relational, workloads
 from graphrefresh.functions.weights import Map, dot, number
 from graphrefresh.models import WIDTH, ZOO, Layer, Model, model
+from graphrefresh.plans import verify
 from graphrefresh.queries import ACTIVATIONS, CHUNKED, EDGES, FEATURES, GRAIN, NEW_ENDS, VERTICES, graph_of
 
 H = [f"h{i}" for i in range(WIDTH)]
@@ -228,6 +229,19 @@ ORACLES |= {
     "constmsg_edges": f"{_T}, n AS (SELECT method, count(*) AS edges FROM t GROUP BY 1) SELECT m AS model, c AS constant_messages, n.edges AS edges, d.edges AS delta_edges FROM (VALUES ('sage_sum', true, 'delta'), ('sage_mean', false, 'cache_reuse')) v(m, c, method) JOIN n USING (method), (SELECT edges FROM n WHERE method = 'delta') d",
 }
 ORACLES |= {f"delta_chunked_{n}": whole(n, FEATURES) for n in CHUNKED} | {f"constmsg_{n}": whole(n, FEATURES) for n in ("sage_sum", "sage_mean", "gin", "gcn")}
+
+
+def conditions(name: str) -> str:
+    """The vector of least id that refutes each condition for a model."""
+    layer = ZOO[name](1)
+    part = lambda i: f"coalesce(embedding[{i} % greatest(coalesce(len(embedding), 0), 1) + 1]::DOUBLE, 0.0::DOUBLE)"
+    value = lambda i: f"abs({part(i)}) + 0.0625::DOUBLE" if i % layer.state_width >= layer.sums else part(i)
+    cols = ", ".join(f"{value(s * layer.state_width + i)} AS {p}{i}" for s, p in enumerate("xy") for i in range(layer.state_width))
+    rows = [f"SELECT '{name}' AS model, '{c}' AS condition, min(trial) IS NULL AS holds, min(trial) AS counterexample FROM t WHERE {w}" for c, w in verify.refutations(layer, verify.Bound().tolerance).items()]
+    return f"SELECT * FROM (WITH t AS (SELECT coalesce(vec_id, -1) AS trial, {cols} FROM embeddings) {' UNION ALL '.join(rows)})"
+
+
+ORACLES["conditions_report"] = " UNION ALL ".join(conditions(_n) for _n in ZOO)
 for _n in dense.KINDS:
     ORACLES |= {f"full_wide_{_n}": wide(_n), f"delta_wide_{_n}": wide(_n, FEATURES)}
 ORACLES |= relational.ORACLES

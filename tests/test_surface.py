@@ -83,3 +83,18 @@ def test_edge_files_and_models_come_back(spark, tmp_path):
         assert rows_of(files.read_edges(spark, f"{tmp_path}/{kind}", kind)) == rows_of(e)
     files.save_model(spark, model("gat"), f"{tmp_path}/model")
     assert files.load_model(spark, f"{tmp_path}/model") == model("gat")
+
+
+def test_conditions_are_tried_on_the_given_vectors(spark, sql):
+    from graphrefresh import workloads
+    from graphrefresh.oracles import ORACLES as ALL
+
+    got = workloads.conditions_report(spark, SF)
+    assert all("embeddings" in f for f in got.inputFiles()) and got.inputFiles()
+    columns, want = sql_rows(sql, ALL["conditions_report"])
+    assert sorted(got.columns) == columns
+    # numbers without a fraction, and nulls, are not written alike by the two
+    same = lambda rows: sorted(tuple({"nan": "None", "<NA>": "None"}.get(c, c) for c in r) for r in rows)
+    assert same(rows_of(got)) == same(want)
+    few = spark.createDataFrame([(1, [1.0]), (2, None), (3, [0.5, None, 0.25])], "vec_id long, embedding array<float>")
+    assert {r.condition for r in verify.conditions(spark, ZOO["sage_max"](1), vectors=few).collect() if not r.holds} == {"sum_mergeable"}
