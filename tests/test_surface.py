@@ -98,3 +98,10 @@ def test_conditions_are_tried_on_the_given_vectors(spark, sql):
     assert same(rows_of(got)) == same(want)
     few = spark.createDataFrame([(1, [1.0]), (2, None), (3, [0.5, None, 0.25])], "vec_id long, embedding array<float>")
     assert {r.condition for r in verify.conditions(spark, ZOO["sage_max"](1), vectors=few).collect() if not r.holds} == {"sum_mergeable"}
+
+
+def test_no_query_lists_the_code_alone():
+    """A list of the models' own settings comes from no table, so it is no query."""
+    from graphrefresh import workloads
+
+    assert "model_catalogue" not in workloads.QUERIES
