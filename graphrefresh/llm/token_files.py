@@ -38,8 +38,8 @@ def write_tokens(docs: DataFrame, path: str, tokenizer: str = TOKENIZER, end_id:
 
         encode, seq, end = encoder(tokenizer).encode, 0, np.array([end_id], "<u4").tobytes()
         for b in batches:
-            for i in range(0, b.num_rows, 500):
-                part = b.slice(i, 500)
+            for i in range(0, b.num_rows, 2000):
+                part = b.slice(i, 2000)
                 ids = [x + end for x in encode(part.column(1).to_pylist())]
                 offsets = np.zeros(len(ids) + 1, "i4")
                 np.cumsum([len(x) // 4 for x in ids], out=offsets[1:])

@@ -490,3 +490,36 @@ def test_pipeline(spark):
     left = [shingle_set(r["text"].lower()) for r in rs]
     assert not any(i <= s for i in items for s in left)
     assert not any(5 * len(a & b) >= 4 * len(a | b) for k, a in enumerate(left) for b in left[:k])
+
+
+def test_pieces_by_array_are_those_of_the_pattern():
+    """Runs of blanks, contractions, spaces at ends, empty texts and control characters, many texts at a time."""
+    import re
+
+    rng = random.Random(5)
+    parts = ["'", "'s", "'re", "'ll", "'ve", "'t", "l", "re", "S", " ", "  ", "\n", "\t", "\xa0", "\r", "7", "12", "_", "-", "''", "é", "ª", "\x00", "don't", "\x85"[:0], "x"]
+    texts = ["", " ", "'", "\n\n", "a ", "a  ", " 's", "\n's", "'s's", "''s", *["".join(rng.choice(parts) for _ in range(rng.randint(0, 12))) for _ in range(4000)], ""]
+    assert not any(re.search(bpe.ODD, t) for t in texts)
+    data, starts, ends = bpe.pieces([t.encode("latin-1") for t in texts])
+    cut = [data[a:z].decode("latin-1") for a, z in zip(starts, [*starts[1:], len(data)], strict=True)]
+    got, one = [], []
+    for piece, end in zip(cut, ends, strict=True):
+        if end:
+            got.append(one)
+            one = []
+        else:
+            one.append(piece)
+    assert got == [re.findall(bpe.PIECES, t) for t in texts]
+
+
+def test_pieces_forgotten_and_found_again(monkeypatch):
+    """With room for few pieces, ids stay those of the library, texts by texts."""
+    monkeypatch.setattr(bpe, "REMEMBER", 20)
+    monkeypatch.setattr(bpe, "TOGETHER", 50)
+    rng = random.Random(6)
+    texts = [" ".join(rng.choice("alpha beta's gam9ma \n\n delta42 é _x_ it's  y".split(" ")) + str(rng.randint(0, 60)) for _ in range(8)) for _ in range(60)]
+    encoder = bpe.Encoder()
+    for _ in range(2):
+        got = [np.frombuffer(x, "<u4").tolist() for i in range(0, 60, 7) for x in encoder.encode([*texts[i : i + 7], None, "日本"])]
+        assert got == [ids for i in range(0, 60, 7) for ids in reference_ids([*texts[i : i + 7], "", "日本"])]
+    assert len(encoder.pieces.known) < 400
