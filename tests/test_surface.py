@@ -105,3 +105,18 @@ def test_no_query_lists_the_code_alone():
     from graphrefresh import workloads
 
     assert "model_catalogue" not in workloads.QUERIES
+
+
+def test_models_of_one_graph_share_it_and_its_batches(spark, monkeypatch):
+    from graphrefresh import workloads
+
+    made = []
+    ready, settled = workloads._ready, workloads.cut
+    monkeypatch.setattr(workloads, "_ready", lambda *a: made.append("graph") or ready(*a))
+    monkeypatch.setattr(workloads, "cut", lambda df, **kw: made.append("table") or settled(df, **kw))
+    monkeypatch.setattr(workloads, "_settled", lambda g, m: [])
+    monkeypatch.setattr(workloads.cost, "timed", lambda run: 1.0)
+    rows = workloads.response_times(spark, SF, models=("gcn", "gat"), runs=1).collect()
+    assert [(r.model, r.method, r.seconds) for r in rows][::5] == [("gcn", "delta", 1.0), ("gat", "delta", 1.0)] and len(rows) == 10
+    # the vertices, and two tables for each of two batches
+    assert made.count("graph") == 1 and made.count("table") == 5
