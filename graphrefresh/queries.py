@@ -70,7 +70,7 @@ def delta_evicted(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     g, b = prepared(spark, sf_dir, graph_of(name), FEATURES)
     m = model(name)
     kept = cut(ids(g.vertices).where(graphs.share("k", F.col("vid")) < 0.5))
-    states = [LayerState(at(s.state, kept), s.out) for s in forward(g, m, write=True)]
+    states = [LayerState(cut(at(s.state, kept), probed=True), s.out) for s in forward(g, m, write=True)]
     return shown(refresh(g, states, b, m, stored=[kept] * len(states)).embeddings)
 
 

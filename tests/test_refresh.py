@@ -1,5 +1,6 @@
 """The incremental refresh against whole passes: oracles on the given tables, a hand-made graph, rules switched off."""
 
+import importlib
 import random
 
 import pytest
@@ -7,7 +8,7 @@ import pytest
 from graphrefresh.models import model
 from graphrefresh.oracles import ORACLES
 from graphrefresh.plans import baselines, chunk, cost, delta, full
-from graphrefresh.plans.full import forward
+from graphrefresh.plans.full import LayerState, forward
 from graphrefresh.queries import QUERIES
 from graphrefresh.sources.graphs import Batch, Graph, apply, expanded, features, net
 from tests.conftest import SF, rows_of, sql_rows
@@ -169,3 +170,40 @@ def test_many_rows_are_never_broadcast(spark, monkeypatch):
             spark.conf.set("spark.sql.adaptive.enabled", small)
         assert "Broadcast" not in plan and "SortMergeJoin" in plan
         assert "BroadcastHashJoin" in few
+
+
+def test_plans_of_a_refresh_stay_small(spark, monkeypatch):
+    """A plan of fifteen joins takes the driver hundreds of MB to plan, however small the tables are."""
+    joins = []
+
+    def counted(df, *options, **named):
+        joins.append(df._jdf.queryExecution().optimizedPlan().toString().count("Join "))
+        return importlib.import_module("graphrefresh.plans.cut").cut(df, *options, **named)
+
+    monkeypatch.setattr(delta, "cut", counted)
+    edges = [(s, d, "contains", 0.5) for s in range(20) for d in range(20, 40) if (s + d) % 3]
+    g = make(spark, range(40), edges)
+    b = batch(spark, ins=[(0, 21, "contains", 1.0)], dele=edges[:30], changed=[(i, 0.5, 0.25, 0.5, 1.0) for i in range(15)])
+    kept = g.vertices.where("vid % 2 = 0").select("vid")
+    m = model("sage_max")
+    states = [LayerState(s.state.join(kept, "vid", "left_semi"), s.out) for s in forward(g, m, write=True)]
+    done = delta.refresh(g, states, b, m, stored=[kept] * 2)
+    assert close(done.embeddings, forward(apply(g, expanded(g, b)), m)[-1].out)
+    assert max(joins) <= 12, joins
+
+
+def test_garbage_of_plans_is_collected(spark, monkeypatch):
+    """Between two written tables, once the driver's heap has grown; never where tasks share the heap."""
+    written = importlib.import_module("graphrefresh.plans.cut")
+    jvm = spark.sparkContext._jvm
+    heap = jvm.java.lang.Runtime.getRuntime()
+    monkeypatch.setattr(written, "_KEPT", {})
+    jvm.java.lang.System.gc()
+    jvm.java.nio.ByteBuffer.allocate(150 * 2**20).capacity()
+    full = written._used(heap)
+    written.cut(spark.range(3))
+    assert not written._KEPT
+    monkeypatch.setattr(written, "_alone", lambda sc: False)
+    monkeypatch.setattr(written, "GARBAGE_MB", 0)
+    assert written.cut(spark.range(3)).count() == 3
+    assert 0 < written._KEPT[spark.sparkContext.applicationId] < full
