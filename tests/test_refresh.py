@@ -207,3 +207,37 @@ def test_garbage_of_plans_is_collected(spark, monkeypatch):
     monkeypatch.setattr(written, "GARBAGE_MB", 0)
     assert written.cut(spark.range(3)).count() == 3
     assert 0 < written._KEPT[spark.sparkContext.applicationId] < full
+
+
+def test_first_front_is_looked_up_once(spark, monkeypatch):
+    """The changed vertices' old embeddings are read up to nine times in the first layer; their joins are planned once."""
+    joins = []
+
+    def counted(df, *options, **named):
+        joins.append(df._jdf.queryExecution().optimizedPlan().toString().count("Join "))
+        return importlib.import_module("graphrefresh.plans.cut").cut(df, *options, **named)
+
+    monkeypatch.setattr(delta, "cut", counted)
+    edges = [(s, d, "contains", 0.5) for s in range(20) for d in range(20, 40) if (s + d) % 3]
+    g = make(spark, range(40), edges)
+    b = batch(spark, ins=[(0, 21, "contains", 1.0), (0, 50, "contains", 1.0)], dele=edges[:30], changed=[(i, 0.5, 0.25, 0.5, 1.0) for i in range(15)])
+    kept = g.vertices.where("vid % 2 = 0").select("vid")
+    m = model("sage_min")
+    states = [LayerState(s.state.join(kept, "vid", "left_semi"), s.out) for s in forward(g, m, write=True)]
+    done = delta.refresh(g, states, b, m, stored=[kept] * 2)
+    assert close(done.embeddings, forward(apply(g, expanded(g, b)), m)[-1].out)
+    assert max(joins) <= 8, joins
+
+
+def test_freed_native_memory_goes_back(spark, monkeypatch):
+    """Together with the heap's garbage, and never where tasks share the heap."""
+    written = importlib.import_module("graphrefresh.plans.cut")
+    said = []
+    monkeypatch.setattr(written, "_KEPT", {})
+    monkeypatch.setattr(written, "trim", lambda sc, trim=written.trim: said.append(trim(sc)))
+    written.cut(spark.range(3))
+    assert not said
+    monkeypatch.setattr(written, "_alone", lambda sc: False)
+    monkeypatch.setattr(written, "GARBAGE_MB", -(10**6))
+    assert written.cut(spark.range(3)).count() == 3
+    assert len(said) == 2 and all("native heap" in x for x in said)
