@@ -120,3 +120,23 @@ def test_models_of_one_graph_share_it_and_its_batches(spark, monkeypatch):
     assert [(r.model, r.method, r.seconds) for r in rows][::5] == [("gcn", "delta", 1.0), ("gat", "delta", 1.0)] and len(rows) == 10
     # the vertices, and two tables for each of two batches
     assert made.count("graph") == 1 and made.count("table") == 5
+
+
+def test_timed_refreshes_expand_a_batch_once(spark, monkeypatch):
+    from graphrefresh import workloads
+    from graphrefresh.sources import graphs
+
+    methods, _ = workloads.prepared_runs(spark, SF, "transitions", "gcn", 5)
+    todo, made, settled = methods("once"), [], graphs.cut
+    monkeypatch.setattr(graphs, "cut", lambda df, **kw: made.append(1) or settled(df, **kw))
+    got = {}
+    for method in ("delta", "cache_reuse", "full_neighbour", "sampled_5"):
+        made.clear()
+        got[method] = todo[method]().collect()
+        assert len(made) == 1, method
+    # the sums that are read from the table of the last layer give the embeddings that the other methods give
+    rounded = lambda rows: {r.vid: tuple(round(r[f"h{i}"], 6) for i in range(4)) for r in rows}
+    want = rounded(todo["whole_graph"]().collect())
+    full, delta = rounded(got["full_neighbour"]), rounded(got["delta"])
+    assert full and full.items() <= want.items() and delta.items() <= want.items()
+    assert {r.vid for r in got["cache_reuse"]} <= full.keys() and all(r.n > 0 and r.s4 == r.n for r in got["cache_reuse"])
